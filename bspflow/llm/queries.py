@@ -2,15 +2,26 @@
 
 from __future__ import annotations
 
+import os
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import pii
+from .ann import nearest
+from .bitslice import exact_top_k
+from .common import materialize, shared_path, word_count
 from .langid import identify
 from .mixing import mix_sources
+from .rollup import Ledger, signed_changes
 from .simhash import near_duplicate_components
+from .spiece import sample_segmentations
 from .substring import substring_dedup
+from .tokens_out import byte_tokens, read_slots, write_training_order
+
+#: Segmentations sampled for each document.
+SAMPLES = 2
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -27,11 +38,74 @@ def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "size", "source_size", "target", "taken")
 
 
+def _every_20th(vectors: DataFrame) -> DataFrame:
+    """The stated query set of the searches."""
+    return vectors.where(F.col("vec_id") % 20 == 0)
+
+
+def op3_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
+    return nearest(vectors, _every_20th(vectors), k=20)
+
+
 def op4_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicate_components(_docs(spark, sf_dir), most_bits=4)
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def piece_model() -> str:
+    """Path of the public piece vocabulary; ``BSPFLOW_PIECES`` names another."""
+    if said := os.environ.get("BSPFLOW_PIECES"):
+        return said
+    import public_tokenizers
+
+    return public_tokenizers.path("piece_bpe_32k.model")
+
+
+def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    sampled = sample_segmentations(_docs(spark, sf_dir), piece_model(), k=SAMPLES, seed=11)
+    return sampled.select("doc_id", "sample", "n_tokens", "log_prob", "inclusion", F.sha2("ids", 256).alias("ids_sha256"), "round_trip")
+
+
+def op6_training_order(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = shared_path(spark, "order")
+    write_training_order(_docs(spark, sf_dir), path, byte_tokens(F.col("text")), length=2048, shard_rows=2048, key=20)
+    return read_slots(spark, path).select("slot", "shard", "seq", F.octet_length("tokens").cast("long").alias("n_tokens"), F.sha2("tokens", 256).alias("tokens_sha256"))
+
+
+def op7_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.summary(pii.find(_docs(spark, sf_dir).select("doc_id", "text")))
+
+
+def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Three batches over the corpus: insert all counts of two tokenizers; delete documents under 10 words; revise
+    the byte counts to texts without outer spaces.  The second batch is sent twice, as a retry would."""
+    docs = _docs(spark, sf_dir)
+    size = F.coalesce(F.octet_length("text"), F.lit(0)).cast("long")
+    bare = F.coalesce(F.octet_length(F.trim("text")), F.lit(0)).cast("long")
+    sized = materialize(docs.select("doc_id", "source", "lang", word_count(F.col("text")).alias("words"), size.alias("bytes"), bare.alias("bare")), "counts")
+
+    def counts(rows: DataFrame, **kinds: str) -> DataFrame:
+        pairs = F.explode(F.array(*[F.struct(F.lit(k).alias("tokenizer"), F.col(c).alias("tokens")) for k, c in kinds.items()]))
+        return rows.select("doc_id", "source", "lang", pairs.alias("x")).select("doc_id", "source", "lang", "x.tokenizer", "x.tokens")
+
+    both = {"words_v1": "words", "bytes_v1": "bytes"}
+    ledger = Ledger(spark, shared_path(spark, "ledger"))
+    kept = sized.where("words >= 10")
+    removal = signed_changes(counts(sized.where("words < 10"), **both), None)
+    ledger.commit("insert-all", signed_changes(None, counts(sized, **both)))
+    ledger.commit("delete-short", removal)
+    ledger.commit("delete-short", removal)
+    ledger.compact()
+    ledger.commit("revise-bytes", signed_changes(counts(kept, bytes_v1="bytes"), counts(kept, bytes_v1="bare")))
+    return ledger.totals()
+
+
+def op9_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
+    return exact_top_k(vectors, _every_20th(vectors), k=20, scale=64.0)
+
+
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify(_docs(spark, sf_dir))
 
@@ -39,7 +113,13 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_substring_dedup": op1_substring_dedup,
     "op2_mix_sources": op2_mix_sources,
+    "op3_nearest": op3_nearest,
     "op4_simhash_dedup": op4_simhash_dedup,
+    "op5_sentencepiece": op5_sentencepiece,
+    "op6_training_order": op6_training_order,
+    "op7_pii": op7_pii,
+    "op8_token_counts": op8_token_counts,
+    "op9_exact_top_k": op9_exact_top_k,
     "op10_language_id": op10_language_id,
 }
 
@@ -74,4 +154,15 @@ p AS (SELECT d.doc_id, size, source_size, target, CASE WHEN source_size > 0 THEN
       FROM d JOIN b ON d.source IS NOT DISTINCT FROM b.source)
 SELECT doc_id, size, source_size, target,
        (epochs * size + least(greatest(budget - epochs * source_size - before, 0), size))::BIGINT AS taken FROM p""",
+    "op8_token_counts": f"""
+WITH d AS (SELECT source, lang, len({_WORDS})::BIGINT AS words, strlen(trim(text, ' '))::BIGINT AS bare FROM documents),
+t AS (SELECT source, lang, 'words_v1' AS tokenizer, words AS tokens FROM d WHERE words >= 10
+      UNION ALL SELECT source, lang, 'bytes_v1', bare FROM d WHERE words >= 10)
+SELECT source, lang, tokenizer, count(*)::BIGINT AS docs, sum(tokens)::BIGINT AS tokens FROM t GROUP BY ALL""",
+    "op9_exact_top_k": """
+WITH z AS (SELECT vec_id, list_transform(embedding, lambda x: floor(64 * x::DOUBLE)::BIGINT) AS z FROM embeddings WHERE embedding IS NOT NULL),
+s AS (SELECT q.vec_id AS query_id, v.vec_id, list_sum(list_transform(list_zip(q.z, v.z), lambda p: p[1] * p[2]))::BIGINT AS score
+      FROM z q JOIN z v ON q.vec_id % 20 = 0 AND q.vec_id <> v.vec_id),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INTEGER AS rank FROM s)
+SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 20""",
 }
