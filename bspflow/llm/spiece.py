@@ -26,6 +26,7 @@ extra columns are ignored.
 from __future__ import annotations
 
 import re
+from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -78,6 +79,10 @@ class Pieces:
                     states += 1
                 at = kids[key]
             ends[at] = i
+        #: transitions of the root by character, the others by a search among sorted keys
+        self.root = np.full(self.alphabet, -1, np.int64)
+        for key in [k for k in kids if k < self.alphabet]:
+            self.root[key] = kids.pop(key)
         keys = np.array(sorted(kids), np.int64)
         self.keys, self.next = keys, np.array([kids[k] for k in keys.tolist()], np.int64)
         self.ends = np.full(states, -1, np.int64)
@@ -107,11 +112,16 @@ class Lattice:
         at, state, step = np.arange(n), np.zeros(n, np.int64), 0
         single = np.zeros(n, bool)
         while len(at):
-            key = state * pieces.alphabet + char[at + step]
-            found = np.searchsorted(pieces.keys, key)
-            found[found == len(pieces.keys)] = 0
-            ok = pieces.keys[found] == key
-            at, state = at[ok], pieces.next[found[ok]]
+            if step == 0:
+                state = pieces.root[char]
+                ok = state >= 0
+                at, state = at[ok], state[ok]
+            else:
+                key = state * pieces.alphabet + char[at + step]
+                found = np.searchsorted(pieces.keys, key)
+                found[found == len(pieces.keys)] = 0
+                ok = pieces.keys[found] == key
+                at, state = at[ok], pieces.next[found[ok]]
             end = pieces.ends[state]
             done = end >= 0
             start.append(at[done])
@@ -127,14 +137,14 @@ class Lattice:
         length.append(np.ones(len(alone), np.int64))
         piece.append(np.full(len(alone), -1))
         start, length, piece = map(np.concatenate, (start, length, piece))
-        order = np.lexsort((length, start))
+        order = np.argsort(start, kind="stable")
         start, self.length, self.piece = start[order], length[order], piece[order]
         weight = np.where(self.piece >= 0, pieces.weights[self.piece], BYTES_WEIGHT)
         self.group = np.searchsorted(start, np.arange(n + 1))
         # backward sums, for all units at once, by how far a place is from its unit's end
         total = np.zeros(n + 1)
         far = left[start]
-        by = np.argsort(far, kind="stable")
+        by = np.argsort(far.astype(np.int16) if n and left.max() < 1 << 15 else far, kind="stable")
         cuts = np.concatenate(([0], np.flatnonzero(np.diff(far[by])) + 1, [len(by)]))
         ends_here = left[start] == self.length
         for a, b in zip(cuts[:-1], cuts[1:], strict=True):
@@ -224,12 +234,12 @@ class _Path:
 
 def sample_batch(pieces: Pieces, keys: list, texts: list[str | None], k: int, seed: int) -> list[list[tuple[np.ndarray, float, float, float]]]:
     """For each text up to k of (piece numbers, log-probability, perturbed value, inclusion), best value first."""
-    known: dict[str, int] = {}
+    known: dict[str, int] = defaultdict(lambda: len(known))
     unit_of, counts = [], []
     for t in texts:
         units = pieces.unit.findall(f" {t}") if t else ()
         counts.append(len(units))
-        unit_of += [known.setdefault(u, len(known)) for u in units]
+        unit_of.extend(map(known.__getitem__, units))
     out: list[list[tuple[np.ndarray, float, float, float]]] = [[] for _ in texts]
     counts = np.array(counts, np.int64)
     ends = np.cumsum(counts)
@@ -331,7 +341,7 @@ def _sample_rows(model: bytes, k: int, seed: int, sharpness: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces = Pieces(model, sharpness)
         for batch in batches:
-            for part in text_slices(batch, budget=1 << 20):
+            for part in text_slices(batch, budget=3 << 20):
                 keys, texts = part.column("doc_id").to_pylist(), part.column("text").to_pylist()
                 row, sample, n, lp, value, inclusion, ids, exact = [], [], [], [], [], [], [], []
                 for i, found in enumerate(sample_batch(pieces, keys, texts, k, seed)):
