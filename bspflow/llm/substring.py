@@ -89,12 +89,11 @@ def _count_windows(window: int):
                 low = np.minimum.reduceat(owner, first) if len(h) else owner
                 high = np.maximum.reduceat(owner, first) if len(h) else owner
                 h, twice = h[first].view(np.int64), low != high
-                bucket = (h >> 48).astype(np.int32)
                 # the largest owner is only sent where it differs: one row then stands for many
                 for pick, who in ((slice(None), low), (twice, high)):
                     for s in range(0, len(h[pick]), 200_000):
                         e = s + 200_000
-                        yield pa.RecordBatch.from_arrays([pa.array(bucket[pick][s:e]), pa.array(h[pick][s:e]), pa.array(who[pick][s:e])], names=["bucket", "h", "doc_id"])
+                        yield pa.RecordBatch.from_arrays([pa.array(h[pick][s:e]), pa.array(who[pick][s:e])], names=["h", "doc_id"])
 
     return run
 
@@ -192,12 +191,12 @@ def substring_dedup(docs: DataFrame, window: int = 50, filter_bits: int = 1 << 2
     spark = docs.sparkSession
     base = plain(docs, "doc_id", "text")
     known = base.where("doc_id IS NOT NULL AND text IS NOT NULL")
-    counted = known.mapInArrow(_count_windows(window), "bucket int, h long, doc_id long").repartition("bucket")
-    repeated = counted.groupBy("bucket", "h").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).where("low < high").sortWithinPartitions("bucket").select("bucket", "h", "low")
+    counted = known.mapInArrow(_count_windows(window), "h long, doc_id long").repartition("h")
+    repeated = counted.groupBy("h").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).where("low < high").select("h", "low")
     repeated = materialize(repeated, "windows")
     packed = np.zeros(filter_bits // 8, np.uint8)
     width = filter_bits // BUCKETS // 8
-    by_bucket = repeated.select("bucket", "h").repartition("bucket").sortWithinPartitions("bucket")
+    by_bucket = repeated.select(F.shiftright("h", 48).cast("int").alias("bucket"), "h").repartition("bucket").sortWithinPartitions("bucket")
     for row in by_bucket.mapInArrow(_filter_rows(filter_bits), "bucket int, bits binary").toLocalIterator():
         start = (row.bucket + (1 << 15)) * width
         packed[start : start + width] = np.frombuffer(bytes(row.bits), np.uint8)
