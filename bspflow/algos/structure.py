@@ -147,13 +147,15 @@ def graph_stats(graph: Graph) -> DataFrame:
 # ---------------------------------------------------------------- trees and lists
 
 
-def euler_tour(tree: DataFrame) -> DataFrame:
+def euler_tour(tree: DataFrame, parent_first: bool = False) -> DataFrame:
     """``tree``(parent, child) -> successor of each arc in the circular tour: (src, dst, next_src, next_dst).
 
-    The arc after (u, v) leaves v for the neighbour after u in v's order, around.
+    The arc after (u, v) leaves v for the neighbour after u in v's order, around; ``parent_first`` puts the parent
+    before the children in that order, so that children are visited by rising id.
     """
-    arcs = tree.select(F.col("parent").alias("src"), F.col("child").alias("dst")).union(tree.select("child", "parent"))
-    order = Window.partitionBy("src").orderBy("dst")
+    down = tree.select(F.col("parent").alias("src"), F.col("child").alias("dst"), F.lit(1).alias("down"))
+    arcs = down.union(tree.select("child", "parent", F.lit(0 if parent_first else 1)))
+    order = Window.partitionBy("src").orderBy("down", "dst")
     ring = arcs.withColumn("after", F.coalesce(F.lead("dst").over(order), F.first("dst").over(order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))))
     turn = ring.select(F.col("src").alias("next_src"), F.col("dst").alias("came"), F.col("after").alias("next_dst"))
     return arcs.join(turn, (F.col("dst") == F.col("next_src")) & (F.col("src") == F.col("came"))).select("src", "dst", "next_src", "next_dst")
@@ -175,7 +177,7 @@ def tree_order(tree: DataFrame, root: int) -> DataFrame:
 
     Arcs are ranked in parallel; the running sums over ranks are dealt in ranges, with one offset a range.
     """
-    arcs = cut(euler_tour(tree))
+    arcs = cut(euler_tour(tree, parent_first=True))
     first = tree.where(F.col("parent") == root).agg(F.min("child")).first()[0]
     if first is None:
         return tree.sparkSession.createDataFrame([(root, 1, 1, 1, 0)], "vid long, pre long, post long, size long, depth long")
