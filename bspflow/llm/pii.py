@@ -360,7 +360,11 @@ def summary(found: DataFrame) -> DataFrame:
     rank = lambda s: F.array_position(F.array(*[F.lit(k) for k in KINDS]), s["kind"])
     base = F.filter("spans", lambda s: s["base"])
     every = F.transform(F.array_sort(F.transform("spans", lambda s: F.struct(rank(s).alias("r"), s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind")))), span)
-    counts = [F.size(F.filter("spans", lambda s, k=k: s["base"] & (s["kind"] == k))).cast("long").alias(f"n_{k}") for k in KINDS]
+
+    def count(kind: str):
+        return F.size(F.filter("spans", lambda s: s["base"] & (s["kind"] == kind))).cast("long").alias(f"n_{kind}")
+
+    counts = [count(k) for k in KINDS]
     return found.select("doc_id", *counts, F.sha2(F.concat_ws(",", F.transform(base, span)).cast("binary"), 256).alias("base_sha256"), F.concat_ws(",", every).alias("spans"))
 
 
