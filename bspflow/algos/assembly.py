@@ -43,13 +43,13 @@ def unitigs(nodes: DataFrame, edges: DataFrame, most_rounds: int = 40) -> tuple[
     one_in = edges.groupBy("dst").agg(F.count("*").alias("n")).where("n = 1").select("dst")
     inner = cut(one_out.join(one_in, "dst").where("src <> dst").select("src", "dst"))
     at = cut(nodes.join(inner.select(F.col("dst").alias("kmer"), F.col("src").alias("prev")), "kmer", "left").select("kmer", "prev", F.when(F.col("prev").isNull(), 0).otherwise(1).cast("long").alias("back"), F.least("kmer", F.coalesce("prev", "kmer")).alias("low")))
-    open_ = True
+    open_, n_nodes = True, nodes.count()
     for _ in range(most_rounds):
         jump = at.select(F.col("kmer").alias("prev"), F.col("prev").alias("pp"), F.col("back").alias("b"), F.col("low").alias("l"))
         at = cut(at.join(jump, "prev", "left").select("kmer", F.when(F.col("pp").isNull(), F.col("prev")).otherwise(F.col("pp")).alias("prev"), (F.col("back") + F.coalesce("b", F.lit(0))).alias("back"), F.least("low", F.coalesce("l", "low")).alias("low"), F.col("pp").isNull().alias("ended")))
         left = at.where("NOT ended").agg(F.count("*"), F.min("back")).first()
         open_ = left[0] > 0
-        if not open_ or left[1] > (1 << 30):
+        if not open_ or left[1] > n_nodes:
             break
     ring = at.where("NOT ended").select("low").distinct()
     if open_:  # cycles: name by the smallest node and rank from it by walking along a cut list
