@@ -80,18 +80,41 @@ class Pieces:
                 at = kids[key]
             ends[at] = i
         #: transitions of the root by character, the others by a search among sorted keys
-        self.root = np.full(self.alphabet, -1, np.int64)
+        self.root = np.full(self.alphabet, -1, np.int32)
         for key in [k for k in kids if k < self.alphabet]:
             self.root[key] = kids.pop(key)
         keys = np.array(sorted(kids), np.int64)
-        self.keys, self.next = keys, np.array([kids[k] for k in keys.tolist()], np.int64)
-        self.ends = np.full(states, -1, np.int64)
+        self.shift = np.uint64(64 - max(4, 3 + len(keys).bit_length()))
+        self.keys = np.full((1 << 64 - int(self.shift)) + 64, -1, np.int64)
+        self.next = np.zeros(len(self.keys), np.int32)
+        for key, slot in zip(keys.tolist(), self._slot(keys).tolist(), strict=True):
+            while self.keys[slot] != -1:
+                slot += 1
+            self.keys[slot], self.next[slot] = key, kids[key]
+        self.ends = np.full(states, -1, np.int32)
         for s, i in ends.items():
             self.ends[s] = i
         self.weights = weights * sharpness
         alone = not any("\n" in p and len(p) > 1 for p in pieces)
         self.unit = re.compile(" *[^ \n]+| *\n| +" if alone else " *[^ ]+| +")
 
+    def _slot(self, key: np.ndarray) -> np.ndarray:
+        return ((key.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
+
+    def step(self, key: np.ndarray) -> np.ndarray:
+        """The state after each transition, -1 where there is none."""
+        slot = self._slot(key)
+        there = self.keys[slot]
+        out = np.where(there == key, self.next[slot], np.int32(-1))
+        open_ = np.flatnonzero((there != key) & (there != -1))
+        while len(open_):
+            slot[open_] += 1
+            there = self.keys[slot[open_]]
+            hit = there == key[open_]
+            out[open_[hit]] = self.next[slot[open_[hit]]]
+            open_ = open_[~hit & (there != -1)]
+        return out
+
     def decode(self, ids: list[int]) -> str:
         """The text of piece numbers; the space put before a text is taken off again."""
         raw = b"".join(map(self.text.__getitem__, ids)).decode("utf-8", "replace")
@@ -106,10 +129,10 @@ class Lattice:
         self.lengths = np.fromiter(map(len, units), np.int64, len(units))
         self.first = np.cumsum(self.lengths) - self.lengths
         n = len(text)
-        left = np.repeat(self.first + self.lengths, self.lengths) - np.arange(n)
-        char = pieces.char_of[text].astype(np.int64)
+        left = (np.repeat(self.first + self.lengths, self.lengths) - np.arange(n)).astype(np.int32)
+        char = pieces.char_of[text]
         start, length, piece = [], [], []
-        at, state, step = np.arange(n), np.zeros(n, np.int64), 0
+        at, state, step = np.arange(n, dtype=np.int32), np.zeros(n, np.int32), 0
         single = np.zeros(n, bool)
         while len(at):
             if step == 0:
@@ -117,53 +140,61 @@ class Lattice:
                 ok = state >= 0
                 at, state = at[ok], state[ok]
             else:
-                key = state * pieces.alphabet + char[at + step]
-                found = np.searchsorted(pieces.keys, key)
-                found[found == len(pieces.keys)] = 0
-                ok = pieces.keys[found] == key
-                at, state = at[ok], pieces.next[found[ok]]
+                state = pieces.step(state.astype(np.int64) * pieces.alphabet + char[at + step])
+                ok = state >= 0
+                at, state = at[ok], state[ok]
             end = pieces.ends[state]
             done = end >= 0
             start.append(at[done])
-            length.append(np.full(int(done.sum()), step + 1))
+            length.append(np.full(int(done.sum()), step + 1, np.int32))
             piece.append(end[done])
             if step == 0:
                 single[at[done]] = True
             step += 1
             more = left[at] > step
             at, state = at[more], state[more]
-        alone = np.flatnonzero(~single)
+        alone = np.flatnonzero(~single).astype(np.int32)
         start.append(alone)
-        length.append(np.ones(len(alone), np.int64))
-        piece.append(np.full(len(alone), -1))
+        length.append(np.ones(len(alone), np.int32))
+        # one byte is one piece; more are looked up below
+        code = text[alone].astype(np.int64)
+        piece.append(np.where((code < 128) & (pieces.bytes_first is not None), code + (pieces.bytes_first or 0), -1).astype(np.int32))
+        byte = len(alone)
         start, length, piece = map(np.concatenate, (start, length, piece))
+        weight = pieces.weights[piece]
+        weight[len(piece) - byte :] = BYTES_WEIGHT
         order = np.argsort(start, kind="stable")
-        start, self.length, self.piece = start[order], length[order], piece[order]
-        weight = np.where(self.piece >= 0, pieces.weights[self.piece], BYTES_WEIGHT)
-        self.group = np.searchsorted(start, np.arange(n + 1))
+        start, self.length, self.piece, weight = start[order], length[order], piece[order], weight[order]
+        self.group = np.concatenate(([0], np.cumsum(np.bincount(start, minlength=n)))).astype(np.int32)
         # backward sums, for all units at once, by how far a place is from its unit's end
         total = np.zeros(n + 1)
         far = left[start]
         by = np.argsort(far.astype(np.int16) if n and left.max() < 1 << 15 else far, kind="stable")
-        cuts = np.concatenate(([0], np.flatnonzero(np.diff(far[by])) + 1, [len(by)]))
-        ends_here = left[start] == self.length
-        for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-            e = by[a:b]
-            value = weight[e] + np.where(ends_here[e], 0.0, total[start[e] + self.length[e]])
+        cuts = np.flatnonzero(np.diff(far[by])) + 1
+        ends_here = far == self.length
+        target = start + self.length
+        # places one past a unit's end add nothing: they point to the spare last sum
+        target[ends_here] = n
+        for e in np.split(by, cuts):
             s = start[e]
             heads = np.flatnonzero(np.concatenate(([True], s[1:] != s[:-1])))
-            total[s[heads]] = np.logaddexp.reduceat(value, heads)
-        self.log_p = weight + np.where(ends_here, 0.0, total[start + self.length]) - total[start]
-        self.p = np.exp(self.log_p)
-        sums = np.cumsum(self.p)
-        base = sums[self.group[start]] - self.p[self.group[start]]
-        self.upto = sums - base
-        last = self.group[1:] - 1
-        self.upto[last] = 2.0
-        only = self.group[start + 1] - self.group[start] == 1
-        self.log_p[only], self.p[only] = 0.0, 1.0
-        with np.errstate(divide="ignore"):
-            self.log_other = np.where(only, -np.inf, np.log(np.maximum(1 - self.p, 1e-300)))
+            total[s[heads]] = np.logaddexp.reduceat(weight[e] + total[target[e]], heads) if len(e) else 0.0
+        weight += total[target]
+        weight -= total[start]
+        self.log_p = weight
+        p = np.exp(weight)
+        sums = np.cumsum(p)
+        many = np.diff(self.group)
+        heads = self.group[:-1]
+        self.upto = sums - np.repeat(sums[heads] - p[heads], many)
+        self.upto[self.group[1:] - 1] = 2.0
+        only = np.repeat(many == 1, many)
+        self.log_p[only] = 0.0
+        np.subtract(1.0, p, out=p)
+        np.maximum(p, 1e-300, out=p)
+        np.log(p, out=p)
+        p[only] = -np.inf
+        self.log_other = p
         self.ends_here, self.start = ends_here, start
         # piece numbers of each edge: one, or a character's bytes
         many = np.ones(len(start), np.int64)
@@ -214,43 +245,59 @@ def _uniform(words: np.ndarray) -> np.ndarray:
 class _Path:
     """One segmentation of a text: its edges and units, and the queue entries it left."""
 
-    __slots__ = ("edges", "units", "value", "log_p", "start", "entries", "before", "barred", "rest")
+    __slots__ = ("edges", "units", "value", "log_p", "start", "entries", "places", "before", "barred")
 
     def __init__(self, edges, units, value, lattice, start, before, barred, rest, noise):
-        self.edges, self.units, self.value, self.start = edges, units, value, start
-        lp = lattice.log_p[edges[start:]]
-        sums = np.cumsum(lp)
+        self.edges, self.units, self.value, self.start, self.barred = edges, units, value, start, barred
+        tail = edges[start:]
+        sums = np.cumsum(lattice.log_p[tail])
         self.log_p = before + (sums[-1] if len(sums) else 0.0)
+        # noise of 53 bits lies between -3.7 and 37.5: what is further below the best mass can't be the best entry,
+        # and masses only fall along the path
+        far = len(tail)
+        head = lattice.log_other[tail[:64]]
+        best = (before + head[1:] + sums[: len(head)][:-1]).max(initial=before + head[0] if rest is None and len(head) else -np.inf)
+        if best > -np.inf:
+            far = 1 + int(np.searchsorted(-sums, before - min(best, value) + 42.0))
+            tail = tail[:far]
         #: log mass of the prefix before each place from ``start`` on
-        self.before = before + sums - lp
-        mass = self.before + lattice.log_other[edges[start:]]
-        self.barred = barred
-        self.rest = rest
+        self.before = np.empty(len(tail))
+        self.before[:1] = before
+        np.add(sums[: len(tail)][:-1], before, out=self.before[1:])
+        mass = self.before + lattice.log_other[tail]
         if rest is not None:
             mass[0] = rest
-        with np.errstate(over="ignore", divide="ignore", invalid="ignore"):
-            self.entries = np.where(mass > -np.inf, mass - np.log(np.exp(np.minimum(mass - value, 700.0)) - np.log(noise)), -np.inf)
+        self.places = np.flatnonzero(mass > max(min(mass.max(initial=-np.inf), value) - 42.0, -1e300))
+        mass = mass[self.places]
+        with np.errstate(over="ignore"):
+            self.entries = mass - np.log(np.exp(np.minimum(mass - value, 700.0)) - np.log(noise(units[start:][self.places], tail[self.places])))
 
 
 def sample_batch(pieces: Pieces, keys: list, texts: list[str | None], k: int, seed: int) -> list[list[tuple[np.ndarray, float, float, float]]]:
     """For each text up to k of (piece numbers, log-probability, perturbed value, inclusion), best value first."""
+    # words of texts with single spaces are numbered without the space before them, from -1 down
     known: dict[str, int] = defaultdict(lambda: len(known))
+    spaced: dict[str, int] = defaultdict(lambda: -1 - len(spaced))
     unit_of, counts = [], []
     for t in texts:
-        units = pieces.unit.findall(f" {t}") if t else ()
+        if t and not ("  " in t or t[0] == " " or t[-1] == " "):
+            units, number = t.split(" "), spaced
+        else:
+            units, number = pieces.unit.findall(f" {t}") if t else (), known
         counts.append(len(units))
-        unit_of.extend(map(known.__getitem__, units))
+        unit_of.extend(map(number.__getitem__, units))
     out: list[list[tuple[np.ndarray, float, float, float]]] = [[] for _ in texts]
     counts = np.array(counts, np.int64)
     ends = np.cumsum(counts)
     unit_of = np.array(unit_of, np.int64)
+    np.copyto(unit_of, len(known) - 1 - unit_of, where=unit_of < 0)
     row_key = mix64(np.array([seed ^ (hash_of(x) & (1 << 63) - 1) for x in keys], np.uint64))
     for i, t in enumerate(texts):
         if not t:
             out[i] = [(np.zeros(0, np.int64), 0.0, 0.0, 1.0)]
     if not len(unit_of):
         return out
-    lattice = Lattice(pieces, list(known))
+    lattice = Lattice(pieces, [*known, *(f" {w}" for w in spaced)])
     doc_of = np.repeat(np.arange(len(texts)), counts)
     width = lattice.lengths[unit_of]
     upto = np.concatenate(([0], np.cumsum(width)))
@@ -267,9 +314,12 @@ def sample_batch(pieces: Pieces, keys: list, texts: list[str | None], k: int, se
 
         return lattice.walk(occurrence, place, draw)
 
-    def noise(path: int, doc: int, units: np.ndarray, edges: np.ndarray) -> np.ndarray:
-        place = inside[units] + lattice.start[edges] - begin[units]
-        return stream(2 * path + 1, np.full(len(units), doc), place)
+    def noise(path: int, doc: int):
+        def at(units: np.ndarray, edges: np.ndarray) -> np.ndarray:
+            place = inside[units] + lattice.start[edges] - begin[units]
+            return stream(2 * path + 1, np.full(len(units), doc), place)
+
+        return at
 
     live = [i for i, c in enumerate(counts) if c]
     who, edges = walk(0, np.arange(len(unit_of)), begin)
@@ -278,7 +328,7 @@ def sample_batch(pieces: Pieces, keys: list, texts: list[str | None], k: int, se
     paths: dict[int, list[_Path]] = {}
     for i in live:
         a, b = cut[0][i], cut[1][i]
-        paths[i] = [_Path(edges[a:b], who[a:b], float(tops[i]), lattice, 0, 0.0, None, None, noise(0, i, who[a:b], edges[a:b]))]
+        paths[i] = [_Path(edges[a:b], who[a:b], float(tops[i]), lattice, 0, 0.0, None, None, noise(0, i))]
     left: dict[int, float] = {}
     for r in range(1, k + 1):
         chosen = {}
@@ -295,13 +345,14 @@ def sample_batch(pieces: Pieces, keys: list, texts: list[str | None], k: int, se
             break
         live = list(chosen)
         start_o, start_p, new_edge = [], [], {}
-        for i, (path, at, _) in chosen.items():
+        for i, (path, entry, _) in chosen.items():
+            at = int(path.places[entry])
             t = path.start + at
             o, old = int(path.units[t]), int(path.edges[t])
             place = int(lattice.start[old])
             barred = {old} | (path.barred if at == 0 and path.barred else set())
             group = [e for e in range(int(lattice.group[place]), int(lattice.group[place + 1])) if e not in barred]
-            p = lattice.p[group]
+            p = np.exp(lattice.log_p[group])
             u = float(stream(2 * r, np.array([i]), np.array([inside[o] + place - begin[o]]))[0]) * p.sum()
             pick = min(int(np.searchsorted(np.cumsum(p), u, side="right")), len(group) - 1)
             rest = p.sum() - p[pick] if len(group) > 1 else 0.0
@@ -314,14 +365,14 @@ def sample_batch(pieces: Pieces, keys: list, texts: list[str | None], k: int, se
             start_p.append(begin[later])
         who, edges = walk(r, np.concatenate(start_o), np.concatenate(start_p))
         firsts, lasts = np.searchsorted(who, ends - counts), np.searchsorted(who, ends)
-        for i, (path, at, value) in chosen.items():
-            t = path.start + at
+        for i, (path, entry, value) in chosen.items():
+            t = path.start + int(path.places[entry])
             edge, barred, before, rest = new_edge[i]
             full = np.concatenate((path.edges[:t], [edge], edges[firsts[i] : lasts[i]]))
             units = np.concatenate((path.units[: t + 1], who[firsts[i] : lasts[i]]))
-            path.entries[at] = -np.inf
+            path.entries[entry] = -np.inf
             rest = before + np.log(rest) if rest > 1e-15 else -np.inf
-            paths[i].append(_Path(full, units, value, lattice, t, before, barred, rest, noise(r, i, units[t:], full[t:])))
+            paths[i].append(_Path(full, units, value, lattice, t, before, barred, rest, noise(r, i)))
     for i, found in paths.items():
         bound = left.get(i, -np.inf)
         for path in found:
@@ -341,7 +392,7 @@ def _sample_rows(model: bytes, k: int, seed: int, sharpness: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces = Pieces(model, sharpness)
         for batch in batches:
-            for part in text_slices(batch, budget=3 << 20):
+            for part in text_slices(batch, budget=2 << 20):
                 keys, texts = part.column("doc_id").to_pylist(), part.column("text").to_pylist()
                 row, sample, n, lp, value, inclusion, ids, exact = [], [], [], [], [], [], [], []
                 for i, found in enumerate(sample_batch(pieces, keys, texts, k, seed)):
