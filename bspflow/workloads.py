@@ -541,4 +541,4 @@ for _system in SYSTEMS:
 
 QUERIES |= relational.QUERIES | streams.QUERIES
 SQL |= relational.SQL | streams.SQL
-del replace, h60, EDGE_SQL, Connector
+del replace, h60, EDGE_SQL
