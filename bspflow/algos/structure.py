@@ -13,6 +13,10 @@ from ..model import Graph
 from ..runtime.session import shared_folder
 
 
+#: Hops of a propagation in one job: more work a job, fewer jobs.
+HOPS = 3
+
+
 def cut(df: DataFrame) -> DataFrame:
     """A table checkpointed in the shared folder, so that rounds don't build on each other's plans."""
     spark = df.sparkSession
@@ -315,9 +319,8 @@ def scc(graph: Graph, most_rounds: int = 200) -> DataFrame:
     v, e = cut(graph.vertices.select("vid")), cut(graph.edges.select("src", "dst").where("src <> dst").distinct())
     done = []
     for _ in range(most_rounds):
-        while True:
-            alone = v.join(e.select(F.col("src").alias("vid")), "vid", "left_anti").union(v.join(e.select(F.col("dst").alias("vid")), "vid", "left_anti")).distinct()
-            alone = cut(alone)
+        for _ in range(2):  # trimming only spares later work, so a few passes a round will do
+            alone = cut(v.join(e.select(F.col("src").alias("vid")), "vid", "left_anti").union(v.join(e.select(F.col("dst").alias("vid")), "vid", "left_anti")).distinct())
             if not alone.limit(1).count():
                 break
             done.append(alone.select("vid", F.col("vid").alias("label")))
@@ -327,16 +330,22 @@ def scc(graph: Graph, most_rounds: int = 200) -> DataFrame:
             break
         colour = cut(v.select("vid", F.col("vid").alias("colour")))
         while True:
-            got = e.join(colour.toDF("src", "c"), "src").groupBy(F.col("dst").alias("vid")).agg(F.max("c").alias("c"))
-            nxt = cut(colour.join(got, "vid", "left").select("vid", F.greatest("colour", F.coalesce("c", "colour")).alias("colour"), (F.coalesce("c", "colour") > F.col("colour")).alias("moved")))
-            colour = nxt.select("vid", "colour")
-            if not nxt.where("moved").limit(1).count():
+            rows = colour.withColumn("before", F.col("colour"))
+            for _ in range(HOPS):
+                got = e.join(rows.select(F.col("vid").alias("src"), F.col("colour").alias("c")), "src").groupBy(F.col("dst").alias("vid")).agg(F.max("c").alias("c"))
+                rows = rows.join(got, "vid", "left").select("vid", F.greatest("colour", F.coalesce("c", "colour")).alias("colour"), "before")
+            rows = cut(rows)
+            colour = rows.select("vid", "colour")
+            if not rows.where("colour > before").limit(1).count():
                 break
         same = e.join(colour.toDF("src", "cs"), "src").join(colour.toDF("dst", "cd"), "dst").where("cs = cd").select("src", "dst")
         same = cut(same)
         front = hit = cut(colour.where("vid = colour").select("vid"))
         while True:
-            front = cut(front.toDF("dst").join(same, "dst").select(F.col("src").alias("vid")).distinct().join(hit, "vid", "left_anti"))
+            grown = front
+            for _ in range(HOPS):
+                grown = grown.union(grown.toDF("dst").join(same, "dst").select(F.col("src").alias("vid"))).distinct()
+            front = cut(grown.join(hit, "vid", "left_anti"))
             if not front.limit(1).count():
                 break
             hit = cut(hit.union(front))
