@@ -317,17 +317,17 @@ def fit(texts: list[str], rounds: int = 3, rate: float = 0.5, decay: float = 1e-
     return field
 
 
-def train(docs: DataFrame, sample: int = 500) -> Field:
-    """Fit on a bounded sample: ``sample`` documents with a digit or at-sign, the first by a hash of their ids."""
-    some = plain(docs, "doc_id", "text").where(F.col("text").rlike("[0-9@]"))
-    first = some.orderBy(F.xxhash64("doc_id"), "doc_id", F.xxhash64("text")).limit(sample)
-    return fit([_around(r.text) for r in first.select("text").collect()])
-
-
-def _around(text: str, most: int = 20_000) -> str:
-    """For training only: the text around its first digits or at-signs, of bounded length."""
-    at = _SOME.search(text).start()
-    return text[max(0, at - 200) : at + most]
+def train(docs: DataFrame, sample: int = 500, most: int = 4000) -> Field:
+    """Fit on a bounded sample: ``sample`` distinct texts with a digit or at-sign, the first by a hash of their ids.
+
+    Of each only ``most`` characters around its first digit or at-sign are used.  Keys are ranked first, so tasks
+    send the driver keys, and then no more than the sample's excerpts.
+    """
+    some = plain(docs, "doc_id", "text").where(F.col("text").rlike("[0-9@]")).withColumns({"h": F.xxhash64("doc_id"), "t": F.xxhash64("text")})
+    keys = some.select("h", "t").distinct().orderBy("h", "t").limit(sample)
+    first = F.greatest(F.regexp_instr("text", F.lit("[0-9@]")) - 200, F.lit(1))
+    chosen = some.join(F.broadcast(keys), ["h", "t"]).select("h", "t", F.substring(F.col("text"), first, F.lit(most)).alias("text"))
+    return fit([r.text for r in chosen.dropDuplicates(["h", "t"]).orderBy("h", "t").collect()])
 
 
 def _find_rows(shared, least: float):
