@@ -52,26 +52,34 @@ def source_targets(sized: DataFrame, weights: tuple[int, ...] = (5, 2, 1), max_e
     return free.select("source", "turn", "source_size", "n_rows", target.alias("target"), budget.cast("long").alias("budget"))
 
 
-def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), max_epochs: int = 3, seed: int = 17, range_rows: int = 512) -> DataFrame:
+def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), max_epochs: int = 3, seed: int = 17, range_rows: int = 512, carry: tuple[str, ...] = ()) -> DataFrame:
     """How many words of each document the mix takes.
 
     Returns doc_id, source, size, source_size, target, taken, epochs (whole repeats) and cut (leading words taken
-    once more).
+    once more), and the columns named by ``carry``.  Carried columns go with their row through the prefix sums, so
+    wide ones move once and rows that share an id stay apart; a join of the result by id would multiply those.
     """
-    sized = plain(docs, "doc_id", "source", "text").select("doc_id", "source", word_count(F.col("text")).alias("size"), hash_key(F.col("doc_id"), seed).alias("key"))
-    sized = materialize(sized, "sizes")
+    if clash := {"size", "key", "turn", "range", "bits", "of", "target", "budget", "n_rows", "source_size", "offset", "before", "epochs", "cut", "taken"} & {c.lower() for c in carry}:
+        raise ValueError(f"columns of the mix can't be carried: {sorted(clash)}")
+    measures = [word_count(F.col("text")).alias("size"), hash_key(F.col("doc_id"), seed).alias("key")]
+    sized = materialize(plain(docs, "doc_id", "source", "text").select("doc_id", "source", *measures), "sizes")
     told = source_targets(sized, weights, max_epochs)
     bits = F.least(F.greatest(F.ceil(F.log2(F.col("n_rows") / range_rows)), F.lit(0)), F.lit(16)).cast("int")
     told = materialize(told.withColumn("bits", bits), "targets")
-    ranged = sized.join(told.withColumnRenamed("source", "of"), F.col("source").eqNullSafe(F.col("of")))
-    ranged = ranged.withColumn("range", F.expr(f"key div cast(pow(2, {KEY_BITS} - bits) as bigint)"))
-    totals = ranged.groupBy("turn", "range").agg(F.sum("size").alias("words"))
+    whole = plain(docs, "doc_id", "source", "text", *(c for c in carry if c != "text")).select("doc_id", "source", *measures, *carry) if carry else sized
+
+    def ranged(rows: DataFrame) -> DataFrame:
+        rows = rows.join(told.withColumnRenamed("source", "of"), F.col("source").eqNullSafe(F.col("of")))
+        return rows.withColumn("range", F.expr(f"key div cast(pow(2, {KEY_BITS} - bits) as bigint)"))
+
+    totals = ranged(sized).groupBy("turn", "range").agg(F.sum("size").alias("words"))
     running = Window.partitionBy("turn").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
     offsets = totals.select("turn", "range", F.coalesce(F.sum("words").over(running), F.lit(0)).alias("offset"))
-    inside = Window.partitionBy("turn", "range").orderBy("key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
-    placed = ranged.join(offsets, ["turn", "range"]).withColumn("before", F.col("offset") + F.coalesce(F.sum("size").over(inside), F.lit(0)))
+    ties = [F.xxhash64(*carry)] if carry else []
+    inside = Window.partitionBy("turn", "range").orderBy("key", "doc_id", "size", *ties).rowsBetween(Window.unboundedPreceding, -1)
+    placed = ranged(whole).join(offsets, ["turn", "range"]).withColumn("before", F.col("offset") + F.coalesce(F.sum("size").over(inside), F.lit(0)))
     placed = placed.withColumn("epochs", F.when(F.col("source_size") > 0, F.expr("budget div source_size")).otherwise(0))
     rest = F.col("budget") - F.col("epochs") * F.col("source_size")
     placed = placed.withColumn("cut", F.least(F.greatest(rest - F.col("before"), F.lit(0)), F.col("size")))
     taken = (F.col("epochs") * F.col("size") + F.col("cut")).cast("long")
-    return placed.select("doc_id", "source", "size", "source_size", "target", taken.alias("taken"), F.col("epochs").cast("long").alias("epochs"), F.col("cut").cast("long").alias("cut"))
+    return placed.select("doc_id", "source", "size", "source_size", "target", taken.alias("taken"), F.col("epochs").cast("long").alias("epochs"), F.col("cut").cast("long").alias("cut"), *carry)

@@ -380,6 +380,20 @@ def test_accuracy_on_the_given_documents(spark, sf):
     assert (got.lang == got.lang_pred).mean() >= 0.95
 
 
+def test_carried_columns_stay_with_their_rows(spark):
+    """Rows sharing an id, or having none, are taken each for itself and keep their own text."""
+    rows = [(1, "a b c", "s"), (1, "d e f", "s"), (None, "g h", "s"), (None, "i", None), (2, None, "t"), (3, "j k l m", "t")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = mix_sources(df, carry=("text",)).collect()
+    key = lambda x: (str(x[0]), str(x[1]), str(x[2]))
+    assert sorted(((x.doc_id, x.text, x.source) for x in got), key=key) == sorted(rows, key=key)
+    assert all(x["size"] == len((x.text or "").split()) for x in got)
+    plainly = sorted((str(x.doc_id), x["size"], x.taken) for x in mix_sources(df).collect())
+    assert sorted((str(x.doc_id), x["size"], x.taken) for x in got) == plainly
+    with pytest.raises(ValueError):
+        mix_sources(df, carry=("size",))
+
+
 # ---------------------------------------------------------------- the pipeline
 
 
