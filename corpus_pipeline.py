@@ -39,11 +39,10 @@ def redact_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them; the one on a source's cut gives its leading words once more."""
-    taken = materialize(mix_sources(docs.select("doc_id", "source", "text")).where("taken > 0").select("doc_id", F.col("epochs").cast("int").alias("epochs"), F.col("size").alias("words"), "cut"), "taken")
-    # one sort-merge join at every size, so that texts move once; then a row for each time a text is taken
-    rows = docs.select(*COLUMNS).join(taken.hint("merge"), "doc_id")
+    # the texts go with their rows through the prefix sums: they move once at every size, and rows sharing an id stay apart
+    rows = mix_sources(docs.select(*COLUMNS), carry=("text", "lang", "n_chars")).where("taken > 0")
     words = F.array_join(F.slice(F.regexp_extract_all("text", F.lit(WORD_PATTERN), F.lit(0)), 1, F.col("cut").cast("int")), " ")
-    rows = rows.withColumn("times", F.expr("epochs + if(cut = words, 1, 0)")).withColumn("lead", F.when((F.col("cut") > 0) & (F.col("cut") < F.col("words")), words))
+    rows = rows.withColumn("times", F.expr("cast(epochs + if(cut = size, 1, 0) as int)")).withColumn("lead", F.when((F.col("cut") > 0) & (F.col("cut") < F.col("size")), words))
     again = F.expr("concat(array_repeat(false, times), if(lead IS NOT NULL, array(true), array()))")
     rows = rows.withColumn("is_lead", F.explode(again)).withColumn("text", F.when(F.col("is_lead"), F.col("lead")).otherwise(F.col("text")))
     return rows.withColumn("n_chars", F.when(F.col("is_lead"), F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*COLUMNS)
