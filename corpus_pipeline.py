@@ -29,7 +29,8 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
     """Of each component of linked fingerprints the smallest doc_id stays; documents without an id stay."""
     found = near_duplicate_components(docs.select("doc_id", "text"))
     go = found.where("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(go, "doc_id", "left_anti").select(*COLUMNS)
+    # the ids to drop grow with the corpus, so they aren't broadcast at any size; texts move once
+    return docs.join(go.hint("merge"), "doc_id", "left_anti").select(*COLUMNS)
 
 
 def redact_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
