@@ -3,6 +3,7 @@ orders, bi-connected and strongly connected components, closure, recommendation,
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -18,11 +19,16 @@ HOPS = 3
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """A table checkpointed in the shared folder, so that rounds don't build on each other's plans."""
+    """A table written into the shared folder, so that rounds don't build on each other's plans.
+
+    A checkpoint would carry the planner's size estimate, which a self-join squares: its digits double each round, and
+    after a dozen rounds planning takes seconds. Files have their true size, by which Spark also picks joins.
+    """
     spark = df.sparkSession
-    shared_folder(spark)
+    path = f"{shared_folder(spark)}/cut-{uuid.uuid4().hex}"
     # unions of rounds would add up partitions
-    return df.coalesce(int(spark.conf.get("spark.sql.shuffle.partitions"))).checkpoint(eager=True)
+    df.coalesce(int(spark.conf.get("spark.sql.shuffle.partitions"))).write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 # ---------------------------------------------------------------- triangles, cliques, recommendation
