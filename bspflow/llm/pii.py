@@ -13,14 +13,16 @@ runs without rewriting, and runs without base spans, teach what to leave alone.
 field adds nothing.
 
 Defined cases: null or empty text has no spans; base spans of different kinds may overlap, added spans overlap none;
-rows that repeat are judged alike; very long runs are cut into windows of bounded length; empty tables give empty
-results; extra columns are ignored (``redact`` keeps them).
+rows that repeat are judged alike; a run is as long as its text asks for, and is cut only where no segment crosses;
+empty tables give empty results; extra columns are ignored (``redact`` keeps them).
 """
 
 from __future__ import annotations
 
 import re
+from array import array
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -45,6 +47,7 @@ _IP = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
 _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _SOME = re.compile(r"[0-9@]")
+_MARK = re.compile(r"[0-9]+|@")
 _TOKEN = re.compile(r"[0-9]+|[^\W\d_]+|\S")
 _AT = re.compile(r"[\[(]at[\])]", re.I)
 
@@ -95,29 +98,59 @@ def told(spans: list[Span]) -> str:
 # ---------------------------------------------------------------- runs of tokens
 
 
+def _marks(text: str) -> list[int]:
+    """Starts of the tokens of which every candidate segment has one: numbers and at-signs."""
+    return sorted(m.start() for m in chain(_MARK.finditer(text), _AT.finditer(text)))
+
+
+def _free(covered: list[tuple[int, int]], size: int) -> Iterator[tuple[int, int]]:
+    """What the covered spans leave of a text of ``size`` characters."""
+    at = 0
+    for a, b in [*sorted(covered), (size, size)]:
+        if a > at:
+            yield at, a
+        at = max(at, b)
+
+
+def _before(text: str, low: int, at: int) -> tuple[list[tuple[int, int]], bool]:
+    """Up to MOST_TOKENS token spans from ``low`` that end at ``at`` the latest, and whether they are all of these."""
+    width = 128
+    while True:
+        start = max(low, at - width)
+        got = [m.span() for m in _TOKEN.finditer(text, start, at)]
+        # a start inside a token shortens only the first one
+        if start == low or len(got) > MOST_TOKENS:
+            return got[-MOST_TOKENS:], start == low and len(got) <= MOST_TOKENS
+        width *= 4
+
+
 def _runs(text: str, covered: list[tuple[int, int]]) -> Iterator[list[tuple[int, int]]]:
-    """Token spans around what may be personal data and isn't covered; each run has WINDOW tokens at most."""
-    marks = [m.start() for m in _SOME.finditer(text)] if _SOME.search(text) else []
-    marks += [m.start() for m in _AT.finditer(text)]
-    marks.sort()
-    last, c = -1, 0
-    covered = sorted(covered)
-    for mark in marks:
-        while c < len(covered) and covered[c][1] <= mark:
-            c += 1
-        if mark < last or (c < len(covered) and covered[c][0] <= mark):
-            continue
-        low = max(last, mark - 40, covered[c - 1][1] if c else 0, 0)
-        high = min(len(text), mark + 80, covered[c][0] if c < len(covered) else len(text))
-        run = [m.span() for m in _TOKEN.finditer(text, low, high)]
-        if low and run and run[0][0] == low and run[0][1] <= mark:
-            run = run[1:]
-        run = run[:WINDOW]
+    """Token spans around what may be personal data and isn't covered.
+
+    A run has MOST_TOKENS tokens on both sides of each of its marks, or all there are, so every segment with a mark
+    lies in one run as a whole, with a token of context on both sides.
+    """
+    marks, k = _marks(text), 0
+    for low, high in _free(covered, len(text)):
+        run: list[tuple[int, int]] = []
+        while k < len(marks) and marks[k] < low:
+            k += 1
+        while k < len(marks) and marks[k] < high:
+            more, joined = _before(text, run[-1][1] if run else low, marks[k])
+            if run and not joined:
+                yield run
+                run = []
+            run += more
+            left = 1
+            for m in _TOKEN.finditer(text, marks[k], high):
+                run.append(m.span())
+                left -= 1
+                while k < len(marks) and marks[k] < m.end():
+                    k, left = k + 1, MOST_TOKENS
+                if not left:
+                    break
         if run:
-            last = max(run[-1][1], mark + 1)
             yield run
-        else:
-            last = mark + 1
 
 
 def _shape(piece: str) -> str:
@@ -137,7 +170,37 @@ class Candidates:
     """The candidate segments of a run and their features, which the kinds share."""
 
     def __init__(self, text: str, run: list[tuple[int, int]]):
-        self.run, self.where, features = run, [], []
+        where, flat = [], array("H")
+        for i, j, features in self._segments(text, run):
+            where.append((i, j))
+            flat.extend(features)
+        self._set(run, where, flat)
+
+    def _set(self, run: list[tuple[int, int]], where: list[tuple[int, int]], flat: array) -> Candidates:
+        self.run, self.where = run, where
+        self.features = np.array(flat, np.uint16).reshape(len(where), FEATURES_EACH)
+        return self
+
+    @classmethod
+    def parts(cls, text: str, run: list[tuple[int, int]]) -> Iterator[Candidates]:
+        """The run cut where no segment crosses; sums and paths over the parts are those over the run."""
+        first = reach = 0
+        where, flat = [], array("H")
+        for i, j, features in cls._segments(text, run):
+            if where and i >= reach:
+                yield cls.__new__(cls)._set(run[first:reach], where, flat)
+                where, flat = [], array("H")
+            if not where:
+                first = reach = i
+            where.append((i - first, j - first))
+            flat.extend(features)
+            reach = max(reach, j)
+        if where:
+            yield cls.__new__(cls)._set(run[first:reach], where, flat)
+
+    @classmethod
+    def _segments(cls, text: str, run: list[tuple[int, int]]) -> Iterator[tuple[int, int, list[int]]]:
+        """(first token, token after the last, features)."""
         low = [text[a:b].lower() for a, b in run]
         numeric = ["0" <= text[a] <= "9" for a, _ in run]
         for i in range(len(run)):
@@ -153,9 +216,7 @@ class Candidates:
                 piece = text[run[i][0] : run[j][1]]
                 if digits < 4 and "@" not in piece and " at " not in piece and not _AT.search(piece):
                     continue
-                self.where.append((i, j + 1))
-                features.append(self._features(piece, digits, low[i - 1] if i else "", low[j + 1] if j + 1 < len(low) else ""))
-        self.features = np.array(features, np.int64).reshape(len(features), FEATURES_EACH)
+                yield i, j + 1, cls._features(piece, digits, low[i - 1] if i else "", low[j + 1] if j + 1 < len(low) else "")
 
     @staticmethod
     def _features(piece: str, digits: int, before: str, after: str) -> list[int]:
@@ -180,7 +241,10 @@ class Field:
         self.weights = weights
 
     def scores(self, c: Candidates) -> np.ndarray:
-        return self.weights[:, c.features].sum(axis=2).T if len(c.where) else np.zeros((0, len(KINDS)))
+        out = np.zeros((len(c.where), len(KINDS)))
+        for i in range(0, len(out), 4096):
+            out[i : i + 4096] = self.weights[:, c.features[i : i + 4096]].sum(axis=2).T
+        return out
 
     def marginals(self, c: Candidates, s: np.ndarray) -> np.ndarray:
         """Posterior of each (segment, kind)."""
@@ -230,16 +294,14 @@ class Field:
         """Segments on the best path that no base span covers and whose posterior reaches ``least``."""
         out = []
         for run in _runs(text, [(a, b) for _, a, b in base]):
-            c = Candidates(text, run)
-            if not len(c.where):
-                continue
-            s = self.scores(c)
-            if s.max() <= 0:
-                continue
-            path = self.best(c, s)
-            if path:
-                p = self.marginals(c, s)
-                out += [(KINDS[y], run[c.where[k][0]][0], run[c.where[k][1] - 1][1]) for k, y in path if p[k, y] >= least]
+            for c in Candidates.parts(text, run):
+                s = self.scores(c)
+                if s.max() <= 0:
+                    continue
+                path = self.best(c, s)
+                if path:
+                    p = self.marginals(c, s)
+                    out += [(KINDS[y], c.run[c.where[k][0]][0], c.run[c.where[k][1] - 1][1]) for k, y in path if p[k, y] >= least]
         return out
 
 
@@ -266,8 +328,7 @@ def _examples(texts: list[str]) -> Iterator[tuple[Candidates, set[tuple[int, int
     for text in texts:
         base = base_spans(text)
         for run in _runs(text, [(a, b) for _, a, b in base]):
-            c = Candidates(text, run)
-            if len(c.where):
+            for c in Candidates.parts(text, run):
                 yield c, set()
         for kind, a, b in base:
             if any(x != (kind, a, b) and x[1] < b and a < x[2] for x in base):

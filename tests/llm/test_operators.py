@@ -305,6 +305,32 @@ def test_field_adds_forms_that_the_patterns_miss_and_keeps_base_spans():
     assert pii.fit(["no data here 12"]).spans(t, []) == []
 
 
+def phone_field(r):
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(r.randint(2, 6)))
+    return pii.fit([f"{word()} {word()} +1 ({r.randint(200, 999)}) 555-{r.randint(1000, 9999)} {word()} {word()} {word()} {r.randint(1, 9999)} {word()} {word()}" for _ in range(200)])
+
+
+def test_an_entity_is_found_at_every_offset_from_an_earlier_digit():
+    field = phone_field(random.Random(6))
+    for n in range(130):
+        for fill in ("x " * 80, "ab cde " * 30):
+            t = "room 7 " + fill[:n].rstrip() + " (743) 555-3824 now"
+            assert field.spans(t, pii.base_spans(t)) == [("phone", len(t) - 18, len(t) - 4)], t
+
+
+def test_every_segment_with_a_mark_lies_in_one_part_of_a_run():
+    r = random.Random(8)
+    for _ in range(200):
+        t = "".join(r.choice(["a", "bc ", " ", "1", "23", "@", "(at)", ". ", "  ", "word " * r.randint(1, 25)]) for _ in range(r.randint(1, 60)))
+        covered, marks, want, got = [(a, b) for _, a, b in pii.base_spans(t)], pii._marks(t), [], []
+        for low, high in pii._free(covered, len(t)):
+            whole = [m.span() for m in pii._TOKEN.finditer(t, low, high)]
+            want += [(whole[i][0], whole[j - 1][1], f) for i, j, f in pii.Candidates._segments(t, whole)]
+        for run in pii._runs(t, covered):
+            got += [(c.run[i][0], c.run[j - 1][1], f) for c in pii.Candidates.parts(t, run) for (i, j), f in zip(c.where, c.features.tolist(), strict=True)]
+        assert sorted(want) == sorted(got) and all(any(a <= m < b for m in marks) for a, b, _ in got)
+
+
 def test_best_path_is_the_best_of_all_segmentations():
     field = pii.Field(np.random.default_rng(7).normal(size=(len(pii.KINDS), pii.FEATURES)))
     t = "a 12345 b@c 99 8888"
