@@ -50,6 +50,7 @@ _SOME = re.compile(r"[0-9@]")
 _MARK = re.compile(r"[0-9]+|@")
 _TOKEN = re.compile(r"[0-9]+|[^\W\d_]+|\S")
 _AT = re.compile(r"[\[(]at[\])]", re.I)
+_SPELLED = re.compile(r" at (?=[A-Za-z0-9-]++\.[A-Za-z0-9-])")
 
 Span = tuple[str, int, int]
 
@@ -99,8 +100,9 @@ def told(spans: list[Span]) -> str:
 
 
 def _marks(text: str) -> list[int]:
-    """Starts of the tokens of which every candidate segment has one: numbers and at-signs."""
-    return sorted(m.start() for m in chain(_MARK.finditer(text), _AT.finditer(text)))
+    """Starts of the tokens that may be in personal data: numbers, at-signs, and an "at" from a local part to a dotted host."""
+    spelled = [m.start() + 1 for m in _SPELLED.finditer(text) if m.start() and text[m.start() - 1] in _LOCAL]
+    return sorted(chain(spelled, (m.start() for m in chain(_MARK.finditer(text), _AT.finditer(text)))))
 
 
 def _free(covered: list[tuple[int, int]], size: int) -> Iterator[tuple[int, int]]:

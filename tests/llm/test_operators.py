@@ -318,6 +318,18 @@ def test_an_entity_is_found_at_every_offset_from_an_earlier_digit():
             assert field.spans(t, pii.base_spans(t)) == [("phone", len(t) - 18, len(t) - 4)], t
 
 
+def test_spelled_out_addresses_are_found_without_a_digit_or_at_sign():
+    r = random.Random(9)
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(r.randint(2, 6)))
+    field = pii.fit([f"{word()} {word()} {word()}.{word()}@{word()}.org {word()} {word()} look at {word()} {word()}" for _ in range(300)])
+    for form in ("anna.b at example.org", "anna.b [at] example.org", "anna.b(at)example.org"):
+        for fill in ("", "word " * 50):
+            t = f"{fill}write to {form} please {fill}"
+            at = t.index(form)
+            assert field.spans(t, pii.base_spans(t)) == [("email", at, at + len(form))], (form, field.spans(t, []))
+    assert field.spans("look at this. we met at noon. sit at home", []) == []
+
+
 def test_every_segment_with_a_mark_lies_in_one_part_of_a_run():
     r = random.Random(8)
     for _ in range(200):
