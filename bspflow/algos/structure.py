@@ -5,6 +5,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Iterator
+from itertools import count
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -316,15 +317,16 @@ def _subtree_extremes(own: DataFrame, par: DataFrame) -> DataFrame:
         up = up.join(up.select(F.col("vid").alias("anc"), F.col("anc").alias("beyond")), "anc").select("vid", F.col("beyond").alias("anc"))
 
 
-def scc(graph: Graph, most_rounds: int = 200) -> DataFrame:
+def scc(graph: Graph) -> DataFrame:
     """(vid, label): strongly connected components named by their largest vertex.
 
     Rounds of trimming what has no in- or out-edge, colouring forwards by the largest id that reaches a vertex, and
-    walking backwards from each colour's own vertex inside its colour; what is reached is a component and goes.
+    walking backwards from each colour's own vertex inside its colour; what is reached is a component and goes.  Each
+    round finds one component at least, and rounds go on until no vertex is left.
     """
     v, e = cut(graph.vertices.select("vid")), cut(graph.edges.select("src", "dst").where("src <> dst").distinct())
     done = []
-    for _ in range(most_rounds):
+    while True:
         for _ in range(2):  # trimming only spares later work, so a few passes a round will do
             alone = cut(v.join(e.select(F.col("src").alias("vid")), "vid", "left_anti").union(v.join(e.select(F.col("dst").alias("vid")), "vid", "left_anti")).distinct())
             if not alone.limit(1).count():
@@ -364,12 +366,12 @@ def scc(graph: Graph, most_rounds: int = 200) -> DataFrame:
     return out
 
 
-def transitive_closure(edges: DataFrame, most_length: int, semi_naive: bool = True) -> DataFrame:
-    """(src, dst, hops): shortest number of edges, up to ``most_length``; only new pairs are extended if semi-naive."""
+def transitive_closure(edges: DataFrame, most_length: int | None = None, semi_naive: bool = True) -> DataFrame:
+    """(src, dst, hops): shortest number of edges, up to ``most_length`` if given; only new pairs are extended if semi-naive."""
     e = cut(edges.select("src", "dst").distinct())
     known = cut(e.withColumn("hops", F.lit(1).cast("long")))
     front = known
-    for n in range(2, most_length + 1):
+    for n in count(2) if most_length is None else range(2, most_length + 1):
         longer = front if semi_naive else known
         grown = longer.select("src", F.col("dst").alias("mid")).join(e.toDF("mid", "dst"), "mid").select("src", "dst").distinct()
         front = cut(grown.join(known, ["src", "dst"], "left_anti").withColumn("hops", F.lit(n).cast("long")))

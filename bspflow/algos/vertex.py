@@ -64,7 +64,7 @@ def sssp_program(source: int, weighted: bool = False) -> Program:
     return Program("sssp", "long", "long", MIN, lambda: F.lit(None), compute, along, {"updated": F.sum})
 
 
-def sssp(graph: Graph, source: int, weighted: bool = False, hints: PlanHints = SPARSE_PLAN, max_supersteps: int = 1000, **more) -> Result:
+def sssp(graph: Graph, source: int, weighted: bool = False, hints: PlanHints = SPARSE_PLAN, max_supersteps: int | None = None, **more) -> Result:
     return run(graph, sssp_program(source, weighted), hints, max_supersteps, **more)
 
 
@@ -86,14 +86,14 @@ def components_program() -> Program:
     return Program("components", "long", "long", MIN, lambda: F.lit(None), compute, aggregators={"changed": F.sum})
 
 
-def connected_components(graph: Graph, hints: PlanHints = COMPONENT_PLAN, max_supersteps: int = 1000, creates: bool = False, **more) -> Result:
+def connected_components(graph: Graph, hints: PlanHints = COMPONENT_PLAN, max_supersteps: int | None = None, creates: bool = False, **more) -> Result:
     """Labels by minimum propagation; the edges must have both directions."""
     program = components_program()
     program.creates = creates
     return run(graph, program, hints, max_supersteps, **more)
 
 
-def reachability(graph: Graph, sources: list[int], targets: list[int] | None = None, hints: PlanHints = SPARSE_PLAN, max_supersteps: int = 1000) -> DataFrame:
+def reachability(graph: Graph, sources: list[int], targets: list[int] | None = None, hints: PlanHints = SPARSE_PLAN, max_supersteps: int | None = None) -> DataFrame:
     """(vid, hops) of what can be reached; with targets, stops when all are reached."""
 
     def compute(c: Context) -> Step:
@@ -113,7 +113,7 @@ def reachability(graph: Graph, sources: list[int], targets: list[int] | None = N
     return run(graph, program, hints, max_supersteps).vertices.where("value IS NOT NULL").select("vid", F.col("value").alias("hops"))
 
 
-def bfs_tree(graph: Graph, root: int, hints: PlanHints = SPARSE_PLAN, max_supersteps: int = 1000) -> DataFrame:
+def bfs_tree(graph: Graph, root: int, hints: PlanHints = SPARSE_PLAN, max_supersteps: int | None = None) -> DataFrame:
     """(vid, parent, depth): parent is the lowest neighbour one nearer to the root; the root's is itself."""
 
     def compute(c: Context) -> Step:

@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
+from itertools import count
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -73,7 +74,7 @@ def _runner(compute: Callable, superstep: int, out_schema: pa.Schema):
     return run
 
 
-def run_rows(graph: Graph, program: RowProgram, max_supersteps: int = 50) -> DataFrame:
+def run_rows(graph: Graph, program: RowProgram, max_supersteps: int | None = None) -> DataFrame:
     """Supersteps until all halt and no message is under way -> (vid, halt, value, edges)."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
@@ -88,7 +89,7 @@ def run_rows(graph: Graph, program: RowProgram, max_supersteps: int = 50) -> Dat
         state = graph.vertices.select("vid").join(lists, "vid", "left")
         state = pins.pin(state.select("vid", F.lit(False).alias("halt"), F.lit(program.initial).cast(program.value_type).alias("value"), F.coalesce("edges", F.array().cast(edge)).alias("edges")))
         msg = spark.createDataFrame([], f"vid long, payload array<{program.payload_type}>")
-        for superstep in range(1, max_supersteps + 1):
+        for superstep in count(1) if max_supersteps is None else range(1, max_supersteps + 1):
             pins.age += 1
             rows = state.join(msg, "vid", "left").unionByName(create_missing(state, msg))
             active = rows.where("NOT halt OR payload IS NOT NULL")

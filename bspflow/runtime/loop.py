@@ -46,14 +46,14 @@ def load_topology(graph: Graph, partitions: int) -> DataFrame:
     return graph.edges.select("src", "dst", "weight").repartition(partitions, "src").sortWithinPartitions("src")
 
 
-def run(graph: Graph, program: Program, hints: PlanHints = PlanHints(), max_supersteps: int = 200, checkpoint: Checkpointer | None = None, checkpoint_when=None, resume: bool = False, stop_after: int | None = None, start: DataFrame | None = None) -> Result:
+def run(graph: Graph, program: Program, hints: PlanHints = PlanHints(), max_supersteps: int | None = None, checkpoint: Checkpointer | None = None, checkpoint_when=None, resume: bool = False, stop_after: int | None = None, start: DataFrame | None = None) -> Result:
     """Run supersteps until all vertices have halted and no message is under way.
 
     One job a superstep: it delivers messages, computes, writes the step's table, and observes the step's one row of
     global state and counts on the way.
     Vertices and topology stay where they are; messages are the only exchange.  Adaptive execution is off inside
     the loop, as it forgets partitionings.  ``start`` is a state from an earlier job of a pipeline; ``stop_after``
-    ends the loop early, as a failure would.
+    ends the loop early, as a failure would.  ``max_supersteps`` is for programs of a stated number of steps.
     """
     spark = graph.spark
     parts = hints.partitions or choose_partitions(spark)
@@ -74,7 +74,7 @@ def run(graph: Graph, program: Program, hints: PlanHints = PlanHints(), max_supe
         live: DataFrame | None = None
         n_vertices = n_active = None
         try:
-            while not gs.halt and gs.superstep <= max_supersteps:
+            while not gs.halt and (max_supersteps is None or gs.superstep <= max_supersteps):
                 began = time.time()
                 join = _join_for(hints, n_vertices, n_active)
                 current = store.read()

@@ -20,7 +20,7 @@ from .session import shared_folder
 class Job:
     program: Program
     hints: PlanHints = PlanHints()
-    max_supersteps: int = 200
+    max_supersteps: int | None = None
 
 
 def pipeline(graph: Graph, jobs: list[Job], pipelined: bool = True) -> Result:
@@ -43,7 +43,7 @@ def pipeline(graph: Graph, jobs: list[Job], pipelined: bool = True) -> Result:
     return result
 
 
-def run_recoverable(graph: Graph, program: Program, path: str, hints: PlanHints = PlanHints(), every: int = 3, max_supersteps: int = 200, policy: FailurePolicy | None = None, interrupt: Callable[[int], None] | None = None, stop_after: int | None = None) -> Result:
+def run_recoverable(graph: Graph, program: Program, path: str, hints: PlanHints = PlanHints(), every: int = 3, max_supersteps: int | None = None, policy: FailurePolicy | None = None, interrupt: Callable[[int], None] | None = None, stop_after: int | None = None) -> Result:
     """Run with a durable checkpoint every ``every`` supersteps; a recoverable failure resumes from the newest one.
 
     ``interrupt`` is called with the attempt number before each attempt; ``stop_after`` ends the first attempt early.

@@ -329,9 +329,9 @@ _add("w_scc_cycle_sparse", lambda s, d: structure.scc(graph(s, d, "cycle_sparse"
 _add("w_scc_user", lambda s, d: structure.scc(graph(s, d, "user")), f"""WITH RECURSIVE e AS MATERIALIZED (SELECT DISTINCT src, dst FROM ({edge_sql('user')})), v AS (SELECT src AS vid FROM e UNION SELECT dst FROM e),
  r(a, b) AS (SELECT vid, vid FROM v UNION SELECT r.a, e.dst FROM r JOIN e ON e.src = r.b)
  SELECT x.a AS vid, max(x.b) AS label FROM r x JOIN r y ON x.a = y.b AND x.b = y.a GROUP BY 1""")
-_add("w_closure_region", lambda s, d: structure.transitive_closure(EDGES(s, d, "region"), 8), f"""WITH RECURSIVE e AS MATERIALIZED ({_REGION}), t(src, dst, hops) AS (SELECT src, dst, 1::BIGINT FROM e UNION ALL SELECT t.src, e.dst, hops + 1 FROM t JOIN e ON e.src = t.dst)
+_add("w_closure_region", lambda s, d: structure.transitive_closure(EDGES(s, d, "region")), f"""WITH RECURSIVE e AS MATERIALIZED ({_REGION}), t(src, dst, hops) AS (SELECT src, dst, 1::BIGINT FROM e UNION ALL SELECT t.src, e.dst, hops + 1 FROM t JOIN e ON e.src = t.dst)
  SELECT src, dst, hops FROM t""")
-_add("w_closure_reply", lambda s, d: structure.transitive_closure(EDGES(s, d, "reply"), 20, semi_naive=False), f"""WITH RECURSIVE e AS MATERIALIZED ({edge_sql('reply')}), t(src, dst, hops) AS (SELECT src, dst, 1::BIGINT FROM e UNION ALL SELECT t.src, e.dst, hops + 1 FROM t JOIN e ON e.src = t.dst)
+_add("w_closure_reply", lambda s, d: structure.transitive_closure(EDGES(s, d, "reply"), semi_naive=False), f"""WITH RECURSIVE e AS MATERIALIZED ({edge_sql('reply')}), t(src, dst, hops) AS (SELECT src, dst, 1::BIGINT FROM e UNION ALL SELECT t.src, e.dst, hops + 1 FROM t JOIN e ON e.src = t.dst)
  SELECT src, dst, hops FROM t""")
 
 

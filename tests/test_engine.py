@@ -174,6 +174,14 @@ def test_strong_components(spark):
     assert got(structure.scc(g)) == {1: 3, 2: 3, 3: 3, 4: 5, 5: 5, 6: 6}
 
 
+def test_closure_of_a_long_conversation_is_whole(spark, tmp_path):
+    from bspflow.workloads import QUERIES
+
+    spark.createDataFrame([(1, n) for n in range(25)], "conv_id long, turn long").write.parquet(f"{tmp_path}/conversations.parquet")
+    rows = {(r.src, r.dst): r.hops for r in QUERIES["w_closure_reply"](spark, str(tmp_path)).collect()}
+    assert rows == {(16 + a, 16 + b): b - a for a in range(25) for b in range(a + 1, 25)}
+
+
 def test_cliques_and_triangles(spark):
     pairs = edges(spark, [(a, b, 1) for a in range(5) for b in range(a + 1, 5)] + [(4, 9, 1)])
     assert {(r["size"], r.members) for r in structure.maximal_cliques(pairs).collect()} == {(5, "0,1,2,3,4"), (2, "4,9")}
