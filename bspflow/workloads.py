@@ -346,8 +346,15 @@ def _graph_of_reads(spark, d):
     return structure.cut(nodes), structure.cut(edges)
 
 
-_add("w_debruijn", lambda s, d: assembly.debruijn(assembly.reads(s, d))[0], f"SELECT kmer, count(*)::BIGINT AS coverage FROM ({_KMERS}) GROUP BY 1")
-_add("w_clean_lowcov", lambda s, d: assembly.drop_low_coverage(*_graph_of_reads(s, d))[0], f"SELECT kmer, count(*)::BIGINT AS coverage FROM ({_KMERS}) GROUP BY 1 HAVING count(*) >= 2")
+def _part_of_reads(spark, d):
+    """What the SQL takes: documents under 2000 characters and 200 offsets of a line; w_*_whole take all."""
+    return assembly.debruijn(assembly.reads(spark, d, 2000), offsets=200)
+
+
+_add("w_debruijn", lambda s, d: _part_of_reads(s, d)[0], f"SELECT kmer, count(*)::BIGINT AS coverage FROM ({_KMERS}) GROUP BY 1")
+_add("w_debruijn_whole", lambda s, d: _graph_of_reads(s, d)[0])
+_add("w_clean_lowcov_whole", lambda s, d: assembly.drop_low_coverage(*_graph_of_reads(s, d))[0])
+_add("w_clean_lowcov", lambda s, d: assembly.drop_low_coverage(*_part_of_reads(s, d))[0], f"SELECT kmer, count(*)::BIGINT AS coverage FROM ({_KMERS}) GROUP BY 1 HAVING count(*) >= 2")
 
 
 def _units(step=None):
