@@ -100,10 +100,27 @@ def webbip_pairs(spark, d) -> DataFrame:
     return links.withColumn("weight", F.lit(1).cast("long"))
 
 
-def copy_pairs(spark, d, low: int = 2, high: int = 50, length: int = 40) -> DataFrame:
-    """Documents that share a line of at least ``length`` characters which 2 to 50 documents have."""
+def _line_holders(spark, d, length: int) -> DataFrame:
     lines = table(spark, d, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.char_length("line") >= length)
-    ids = lines.select("doc_id", F.md5(F.col("line").cast("binary")).alias("line")).distinct()
+    return lines.select("doc_id", F.md5(F.col("line").cast("binary")).alias("line")).distinct()
+
+
+def copy_links(spark, d, length: int = 40) -> DataFrame:
+    """Each document with the smallest one that has a line of ``length`` characters of it: the components of all copies.
+
+    A line gives one link a holder, however many hold it.
+    """
+    ids = _line_holders(spark, d, length)
+    first = ids.groupBy("line").agg(F.min("doc_id").alias("src"))
+    return ids.join(first, "line").where("src < doc_id").groupBy("src", F.col("doc_id").alias("dst")).agg(F.count("*").alias("weight"))
+
+
+def copy_pairs(spark, d, low: int = 2, high: int = 50, length: int = 40) -> DataFrame:
+    """Documents that share a line of at least ``length`` characters which 2 to 50 documents have, as in the SQL.
+
+    ``copy_links`` has no such bound.
+    """
+    ids = _line_holders(spark, d, length)
     counted = ids.groupBy("line").agg(F.count("*").alias("n")).where(F.col("n").between(low, high)).select("line")
     kept = ids.join(counted, "line")
     other = kept.select("line", F.col("doc_id").alias("dst"))
@@ -119,7 +136,7 @@ def knn_pairs(spark, d, least: float = 0.3) -> DataFrame:
     return pairs.where(F.col("cos") >= least).select(F.col("vec_id").alias("src"), "dst", F.round(F.col("cos") * 1e6).cast("long").alias("weight"))
 
 
-PAIRS = {"trade": trade_pairs, "cust": cust_pairs, "order": order_pairs, "webbip": webbip_pairs, "copy": copy_pairs, "knn": knn_pairs}
+PAIRS = {"trade": trade_pairs, "cust": cust_pairs, "order": order_pairs, "webbip": webbip_pairs, "copy": copy_pairs, "copy_links": copy_links, "knn": knn_pairs}
 DIRECTED = {
     "cycle": lambda s, d: cycle_edges(s, d, "l_returnflag = 'R'"),
     "cycle_sparse": lambda s, d: cycle_edges(s, d, "l_quantity >= 50"),

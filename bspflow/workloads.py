@@ -139,6 +139,7 @@ _add("w_sssp_session", w_sssp_session, f"""WITH e AS ({edge_sql('session')}), u
  SELECT event_id AS vid, sum(coalesce(weight, 0)) OVER (ORDER BY (SELECT (ts, event_id) FROM events x WHERE x.event_id = c.event_id))::BIGINT AS dist FROM c LEFT JOIN e ON e.src = c.prev""")
 for _g in ("order", "cust", "copy"):
     _add(f"w_cc_{_g}", _labels(_g), label_sql(PAIR_SQL[_g]))
+_add("w_cc_copy_whole", _labels("copy_links"))
 
 
 def w_cc_web(spark, d):

@@ -182,6 +182,15 @@ def test_closure_of_a_long_conversation_is_whole(spark, tmp_path):
     assert rows == {(16 + a, 16 + b): b - a for a in range(25) for b in range(a + 1, 25)}
 
 
+def test_copies_of_any_number_are_one_component(spark, tmp_path):
+    from bspflow.workloads import QUERIES
+
+    line = lambda c: c * 45
+    texts = [(n, line("a")) for n in range(10, 70)] + [(5, line("b")), (69, line("b")), (2, line("c")), (3, line("c")), (4, line("d"))]
+    spark.createDataFrame(texts, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    assert got(QUERIES["w_cc_copy_whole"](spark, str(tmp_path))) == {**{n: 5 for n in [5, *range(10, 70)]}, 2: 2, 3: 2}
+
+
 def test_cliques_and_triangles(spark):
     pairs = edges(spark, [(a, b, 1) for a in range(5) for b in range(a + 1, 5)] + [(4, 9, 1)])
     assert {(r["size"], r.members) for r in structure.maximal_cliques(pairs).collect()} == {(5, "0,1,2,3,4"), (2, "4,9")}
