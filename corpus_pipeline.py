@@ -20,8 +20,13 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Train on the labelled documents that aren't held out; documents without a language (``und``) go."""
+    """Train on the labelled documents that aren't held out; documents without a language (``und``) go.
+
+    If no document tells of a language, those without a letter go.
+    """
     model = langid.train(docs.where(~langid.held_out(F.col("doc_id"))).select("doc_id", "text", "lang"))
+    if not model.languages:
+        return docs.where(F.col("text").rlike(r"\p{L}")).select(*COLUMNS)
     return langid.predict(docs, model).where(F.col("lang_pred") != langid.UNKNOWN).select(*COLUMNS)
 
 

@@ -374,6 +374,13 @@ def test_pii_query_columns_and_redaction(spark):
     assert {x.doc_id: x.text for x in pii.redact(df).collect()} == {0: None, 1: "", 2: "mail [EMAIL] or [IP]", 3: "none"}
 
 
+def test_pipeline_keeps_texts_when_no_language_is_labelled(spark):
+    import corpus_pipeline
+
+    df = docs(spark, ["some words", "12 34", None, "", "ein Satz"], langs=[None] * 5)
+    assert sorted(x.doc_id for x in corpus_pipeline.identify_language(spark, df, "").collect()) == [0, 4]
+
+
 # ---------------------------------------------------------------- 8
 
 
