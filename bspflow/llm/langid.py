@@ -5,14 +5,14 @@ task adds up its own texts and sends only non-zero counts, so what moves is boun
 buckets and the model by languages x buckets.  The log-probability matrix is broadcast; a batch is scored in
 numpy by adding matrix rows of the n-grams that occur.
 
-Defined cases: null text, or text without a letter, is ``und`` with score 0; without any labelled text every
-document is ``und``; ties go to the first language in code point order; empty tables give empty results; extra
-columns are ignored.
+Defined cases: null text, or text without a letter (Unicode's L categories), is ``und`` with score 0; without any
+labelled text every document is ``und``; ties go to the first language in code point order; a very long text is hashed
+in segments and scored as a whole; repeated rows count as often as they occur and get equal predictions; empty tables
+give empty results; extra columns are ignored.  More than ``LANGUAGES_MOST`` labels raise before any count is gathered.
 """
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -24,39 +24,65 @@ from .common import plain, text_slices
 
 GRAMS = (1, 2, 3)
 BUCKETS = 1 << 15
-LANGUAGES_MOST = 4096
-_LETTER = re.compile(r"[^\W\d_]")
+LANGUAGES_MOST = 512
 UNKNOWN = "und"
 
 
-def _codes(text: str) -> np.ndarray:
-    return np.frombuffer(f" {text.lower()} ".encode("utf-32-le", "surrogatepass"), np.uint32)
-
-
-def gram_buckets(texts: list[str], grams: tuple[int, ...] = GRAMS, buckets: int = BUCKETS) -> tuple[np.ndarray, np.ndarray]:
-    """Buckets of all n-grams of all texts, and how many each text has.  White space and digits fold."""
-    parts = [_codes(t) for t in texts]
-    lengths = np.array([len(p) for p in parts], np.int64)
-    if not len(lengths):
-        return np.zeros(0, np.int32), lengths
-    c = np.concatenate(parts)
-    c = np.where((c >= 48) & (c <= 57), np.uint32(48), np.where(c <= 32, np.uint32(32), c))
-    ends = np.repeat(np.cumsum(lengths), lengths)
-    at = np.arange(len(c))
-    out, doc = [], []
-    owner = np.repeat(np.arange(len(parts)), lengths)
+def _segments(texts: list[str], most: int) -> Iterator[tuple[int, np.ndarray, int]]:
+    """(text, code points, starts): texts in segments of at most ``most`` n-gram starts, with the code points these need.
+
+    A text gets one space before and after; white space and digits fold.
+    """
+    more = max(GRAMS) - 1
+    for i, text in enumerate(texts):
+        low = f" {text.lower()} "
+        for at in range(0, len(low), most):
+            c = np.frombuffer(low[at : at + most + more].encode("utf-32-le", "surrogatepass"), np.uint32)
+            yield i, np.where((c >= 48) & (c <= 57), np.uint32(48), np.where(c <= 32, np.uint32(32), c)), min(most, len(c))
+
+
+def gram_buckets(texts: list[str], grams: tuple[int, ...] = GRAMS, buckets: int = BUCKETS, most: int = 1 << 16) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Buckets of all n-grams of all texts, in turns of one n and about ``most`` characters.
+
+    A turn is (texts, counts, buckets): which texts it has n-grams of, how many of each, and those of one after another.
+    Long texts take several turns, so work arrays stay small whatever a text's length is.
+    """
+    if max(grams) > max(GRAMS):
+        raise ValueError(f"n-grams have {max(GRAMS)} characters at most")
+    held, size = [], 0
+    for segment in _segments(texts, most):
+        held.append(segment)
+        size += len(segment[1])
+        if size >= most:
+            yield from _turns(held, grams, buckets)
+            held, size = [], 0
+    if held:
+        yield from _turns(held, grams, buckets)
+
+
+def _turns(held: list[tuple[int, np.ndarray, int]], grams: tuple[int, ...], buckets: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    who, codes, starts = zip(*held, strict=True)
+    c = np.concatenate(codes)
+    lengths, starts = np.array([len(x) for x in codes], np.int32), np.array(starts, np.int32)
+    first = np.cumsum(lengths) - lengths
     h = np.zeros(len(c), np.uint32)
     for n in range(1, max(grams) + 1):
         h = (h[: len(c) - n + 1] if n > 1 else h) * np.uint32(0x01000193) ^ c[n - 1 :]
         if n in grams:
-            inside = at[: len(h)] + n <= ends[: len(h)]
-            mixed = (h ^ np.uint32(n * 0x9E3779B1 & 0xFFFFFFFF)) * np.uint32(0x85EBCA6B)
+            # a segment's n-grams begin at its starts and end within it
+            many = np.maximum(np.minimum(starts, lengths - n + 1), 0)
+            step = np.zeros(len(c) + 1, np.int8)
+            np.add.at(step, first[many > 0], 1)
+            np.add.at(step, (first + many)[many > 0], -1)
+            mixed = h[np.cumsum(step[: len(h)], dtype=np.int8).astype(bool)]
+            mixed = (mixed ^ np.uint32(n * 0x9E3779B1 & 0xFFFFFFFF)) * np.uint32(0x85EBCA6B)
             mixed = (mixed ^ (mixed >> np.uint32(15))) * np.uint32(0xC2B2AE35)
-            out.append((mixed[inside] >> np.uint32(32 - buckets.bit_length() + 1)).astype(np.int32))
-            doc.append(owner[: len(h)][inside])
-    all_doc = np.concatenate(doc)
-    order = np.argsort(all_doc, kind="stable")
-    return np.concatenate(out)[order], np.bincount(all_doc, minlength=len(parts))
+            yield np.array(who)[many > 0], many[many > 0], (mixed >> np.uint32(32 - buckets.bit_length() + 1)).astype(np.int32)
+
+
+def has_letter(text: str | None) -> bool:
+    """Whether any character is a letter (general categories L*)."""
+    return bool(text) and any(map(str.isalpha, text))
 
 
 def _train_rows(grams: tuple[int, ...], buckets: int):
@@ -64,14 +90,15 @@ def _train_rows(grams: tuple[int, ...], buckets: int):
         tables: dict[str, np.ndarray] = {}
         docs: dict[str, int] = {}
         for batch in batches:
-            for part in text_slices(batch, budget=2 << 20):
+            for part in text_slices(batch, budget=1 << 18):
                 by: dict[str, list[str]] = {}
                 for lang, text in zip(part.column("lang").to_pylist(), part.column("text").to_pylist(), strict=True):
-                    by.setdefault(lang, []).append(text)
+                    if has_letter(text):
+                        by.setdefault(lang, []).append(text)
                 for lang, texts in by.items():
-                    b, _ = gram_buckets(texts, grams, buckets)
-                    tables.setdefault(lang, np.zeros(buckets, np.int64))
-                    tables[lang] += np.bincount(b, minlength=buckets)
+                    table = tables.setdefault(lang, np.zeros(buckets, np.int64))
+                    for _, _, b in gram_buckets(texts, grams, buckets):
+                        table += np.bincount(b, minlength=buckets)
                     docs[lang] = docs.get(lang, 0) + len(texts)
                 if len(tables) > 64:  # many labels: send on what there is rather than hold it
                     yield from _table_rows(tables, docs)
@@ -90,38 +117,37 @@ def _table_rows(tables: dict[str, np.ndarray], docs: dict[str, int]) -> Iterator
 
 
 class Model:
-    """Languages, and a matrix (buckets, languages) of log probabilities; row 0 of ``prior`` is the log prior."""
+    """Languages, their log priors, and a matrix (languages, buckets) of log probabilities."""
 
     def __init__(self, languages: list[str], prior: np.ndarray, weights: np.ndarray, grams: tuple[int, ...]):
         self.languages, self.prior, self.weights, self.grams = languages, prior, weights, grams
 
     def scores(self, texts: list[str]) -> np.ndarray:
         """Log-likelihoods (texts, languages), the prior included."""
-        b, n = gram_buckets(texts, self.grams, len(self.weights))
         out = np.zeros((len(texts), len(self.languages)))
-        if len(b):
-            starts = (np.cumsum(n) - n)[n > 0]
-            for k in range(len(self.languages)):
-                out[n > 0, k] = np.add.reduceat(self.weights[:, k][b], starts, dtype=np.float64)
+        for who, many, b in gram_buckets(texts, self.grams, self.weights.shape[1]):
+            starts = np.cumsum(many) - many
+            for k, weights in enumerate(self.weights):
+                np.add.at(out[:, k], who, np.add.reduceat(weights[b], starts, dtype=np.float64))
         return out + self.prior
 
 
 def train(docs: DataFrame, grams: tuple[int, ...] = GRAMS, buckets: int = BUCKETS, smoothing: float = 0.5) -> Model:
     """Fit on ``docs``(text, lang); rows with null text, null label or no letter are left out."""
-    known = docs.where("lang IS NOT NULL AND text IS NOT NULL").where(F.col("text").rlike(r"\p{L}"))
+    known = docs.where("lang IS NOT NULL AND text IS NOT NULL")
     rows = known.select("lang", "text").mapInArrow(_train_rows(grams, buckets), "lang string, bucket int, n long")
+    if (labels := known.select("lang").distinct().limit(LANGUAGES_MOST + 1).count()) > LANGUAGES_MOST:
+        raise ValueError(f"{labels} labels or more; a model has {LANGUAGES_MOST} at most")
     total = rows.groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toPandas()
     languages = sorted(total["lang"].unique(), key=lambda s: s.encode())
-    if len(languages) > LANGUAGES_MOST:
-        raise ValueError(f"{len(languages)} labels; a model has {LANGUAGES_MOST} at most")
     index = {x: k for k, x in enumerate(languages)}
-    counts = np.full((buckets, len(languages)), smoothing)
+    counts = np.full((len(languages), buckets), smoothing)
     prior = np.zeros(len(languages))
     k = total["lang"].map(index).to_numpy(np.int64) if len(total) else np.zeros(0, np.int64)
     b, n = total["bucket"].to_numpy(np.int64), total["n"].to_numpy(np.float64)
-    counts[b[b >= 0], k[b >= 0]] += n[b >= 0]
+    counts[k[b >= 0], b[b >= 0]] += n[b >= 0]
     prior[k[b < 0]] = n[b < 0]
-    weights = np.log(counts / counts.sum(0)) if languages else counts
+    weights = np.log(counts / counts.sum(1, keepdims=True)) if languages else counts
     return Model(languages, np.log(prior / prior.sum()) if languages else prior, weights.astype(np.float32), grams)
 
 
@@ -129,9 +155,9 @@ def _predict_rows(shared):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model: Model = shared.value
         for batch in batches:
-            for part in text_slices(batch, budget=2 << 20):
+            for part in text_slices(batch, budget=1 << 18):
                 texts = part.column("text").to_pylist()
-                known = [i for i, t in enumerate(texts) if t and _LETTER.search(t)] if model.languages else []
+                known = [i for i, t in enumerate(texts) if has_letter(t)] if model.languages else []
                 lang, score = [UNKNOWN] * len(texts), np.zeros(len(texts))
                 if known:
                     s = model.scores([texts[i] for i in known])
