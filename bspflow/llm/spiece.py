@@ -26,8 +26,9 @@ extra columns are ignored.
 from __future__ import annotations
 
 import re
-from collections import defaultdict
+from collections import Counter, defaultdict
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -37,6 +38,8 @@ from pyspark.sql import functions as F
 from .common import mix64, plain, text_slices
 
 SPACE = "▁"
+#: Bytes of text sampled at a time, and words whose lattices a worker keeps from one slice to the next.
+SLICE, KEPT = 1 << 18, 1 << 13
 #: Log weight of a character that is coded as bytes; it has no alternative, so only its own row's scale shifts.
 BYTES_WEIGHT = -20.0
 
@@ -95,6 +98,8 @@ class Pieces:
         for s, i in ends.items():
             self.ends[s] = i
         self.weights = weights * sharpness
+        lengths = np.array([len(t) for t in self.text], np.int64)
+        self.blob, self.sizes, self.offsets = np.frombuffer(b"".join(self.text), np.uint8), lengths, np.cumsum(lengths) - lengths
         alone = not any("\n" in p and len(p) > 1 for p in pieces)
         self.unit = re.compile(" *[^ \n]+| *\n| +" if alone else " *[^ ]+| +")
 
@@ -115,6 +120,13 @@ class Pieces:
             open_ = open_[~hit & (there != -1)]
         return out
 
+    def raw(self, ids: np.ndarray) -> np.ndarray:
+        """The bytes of piece numbers one after another."""
+        many = self.sizes[ids]
+        ends = np.cumsum(many)
+        total = int(ends[-1]) if len(ends) else 0
+        return self.blob[np.repeat(self.offsets[ids] - (ends - many), many) + np.arange(total)]
+
     def decode(self, ids: list[int]) -> str:
         """The text of piece numbers; the space put before a text is taken off again."""
         raw = b"".join(map(self.text.__getitem__, ids)).decode("utf-8", "replace")
@@ -122,9 +134,9 @@ class Pieces:
 
 
 class Lattice:
-    """The joined lattices of distinct units (words with the spaces before them)."""
+    """The joined lattices of distinct units (words with the spaces before them), after those of ``base`` if given."""
 
-    def __init__(self, pieces: Pieces, units: list[str]):
+    def __init__(self, pieces: Pieces, units: list[str], base: Lattice | None = None):
         text = np.frombuffer("".join(units).encode("utf-32-le", "surrogatepass"), np.uint32)
         self.lengths = np.fromiter(map(len, units), np.int64, len(units))
         self.first = np.cumsum(self.lengths) - self.lengths
@@ -164,7 +176,7 @@ class Lattice:
         weight = pieces.weights[piece]
         weight[len(piece) - byte :] = BYTES_WEIGHT
         order = np.argsort(start, kind="stable")
-        start, self.length, self.piece, weight = start[order], length[order], piece[order], weight[order]
+        start, self.length, piece, weight = start[order], length[order], piece[order], weight[order]
         self.group = np.concatenate(([0], np.cumsum(np.bincount(start, minlength=n)))).astype(np.int32)
         # backward sums, for all units at once, by how far a place is from its unit's end
         total = np.zeros(n + 1)
@@ -198,15 +210,26 @@ class Lattice:
         self.ends_here, self.start = ends_here, start
         # piece numbers of each edge: one, or a character's bytes
         many = np.ones(len(start), np.int64)
-        flat = self.piece.copy()
-        raw = np.flatnonzero(self.piece < 0)
+        flat = piece
+        raw = np.flatnonzero(piece < 0)
         if len(raw):
             coded = [chr(text[start[e]]).encode("utf-8", "surrogatepass") for e in raw.tolist()]
             many[raw] = [len(c) for c in coded]
-            flat = np.repeat(self.piece, many)
+            flat = np.repeat(piece, many)
             flat[flat < 0] = np.frombuffer(b"".join(coded), np.uint8).astype(np.int64) + (pieces.bytes_first or 0)
         self.many, self.flat, self.at = many, flat, np.cumsum(many) - many
         self.plain = not len(raw)
+        if base is not None:
+            self._follow(base)
+
+    def _follow(self, base: Lattice) -> None:
+        """Number places and edges on from those of ``base``."""
+        places, edges = len(base.group) - 1, len(base.start)
+        self.first, self.start, self.at, self.group = self.first + places, self.start + places, self.at + len(base.flat), self.group[1:] + edges
+        for name in ("lengths", "first", "start", "length", "log_p", "upto", "log_other", "ends_here", "many", "flat", "at", "group"):
+            both = (getattr(base, name), getattr(self, name))
+            setattr(self, name, np.concatenate(both).astype(both[0].dtype, copy=False))
+        self.plain = self.plain and base.plain
 
     def walk(self, occurrence: np.ndarray, place: np.ndarray, draw) -> tuple[np.ndarray, np.ndarray]:
         """Ordinary draws from the given places to the ends of their units: (occurrence, edge), in text order."""
@@ -273,14 +296,33 @@ class _Path:
             self.entries = mass - np.log(np.exp(np.minimum(mass - value, 700.0)) - np.log(noise(units[start:][self.places], tail[self.places])))
 
 
-def sample_batch(pieces: Pieces, keys: list, texts: list[str | None], k: int, seed: int) -> list[list[tuple[np.ndarray, float, float, float]]]:
+class Kept:
+    """Lattices of words that recur, numbered from -1 down: built once and put before those of every slice."""
+
+    def __init__(self, pieces: Pieces, texts: list[str | None]):
+        often = Counter(w for t in texts if t and _single(t) for w in t.split(" "))
+        words = [w for w, n in often.most_common(KEPT) if n > 1]
+        self.numbers = {w: -1 - i for i, w in enumerate(words)}
+        self.lattice = Lattice(pieces, [f" {w}" for w in words]) if words else None
+
+
+def _single(text: str) -> bool:
+    """Whether the words of a text stand one space apart."""
+    return not ("  " in text or text[0] == " " or text[-1] == " ")
+
+
+def sample_batch(pieces: Pieces, keys: list, texts: list[str | None], k: int, seed: int, kept: Kept | None = None) -> list[list[tuple[np.ndarray, float, float, float]]]:
     """For each text up to k of (piece numbers, log-probability, perturbed value, inclusion), best value first."""
     # words of texts with single spaces are numbered without the space before them, from -1 down
     known: dict[str, int] = defaultdict(lambda: len(known))
     spaced: dict[str, int] = defaultdict(lambda: -1 - len(spaced))
+    base = kept.lattice if kept else None
+    if base is not None:
+        spaced.update(kept.numbers)
+    n_base = len(spaced)
     unit_of, counts = [], []
     for t in texts:
-        if t and not ("  " in t or t[0] == " " or t[-1] == " "):
+        if t and _single(t):
             units, number = t.split(" "), spaced
         else:
             units, number = pieces.unit.findall(f" {t}") if t else (), known
@@ -290,14 +332,16 @@ def sample_batch(pieces: Pieces, keys: list, texts: list[str | None], k: int, se
     counts = np.array(counts, np.int64)
     ends = np.cumsum(counts)
     unit_of = np.array(unit_of, np.int64)
-    np.copyto(unit_of, len(known) - 1 - unit_of, where=unit_of < 0)
+    # kept words come first, then units with their spaces, then the slice's other words
+    np.copyto(unit_of, np.where(unit_of < 0, np.where(unit_of >= -n_base, -1 - unit_of, len(known) - 1 - unit_of), n_base + unit_of))
     row_key = mix64(np.array([seed ^ (hash_of(x) & (1 << 63) - 1) for x in keys], np.uint64))
     for i, t in enumerate(texts):
         if not t:
             out[i] = [(np.zeros(0, np.int64), 0.0, 0.0, 1.0)]
     if not len(unit_of):
         return out
-    lattice = Lattice(pieces, [*known, *(f" {w}" for w in spaced)])
+    units = [*known, *(f" {w}" for w in islice(spaced, n_base, None))]
+    lattice = Lattice(pieces, units, base) if units else base
     doc_of = np.repeat(np.arange(len(texts)), counts)
     width = lattice.lengths[unit_of]
     upto = np.concatenate(([0], np.cumsum(width)))
@@ -390,27 +434,34 @@ def hash_of(key) -> int:
 
 def _sample_rows(model: bytes, k: int, seed: int, sharpness: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pieces = Pieces(model, sharpness)
+        pieces, kept = Pieces(model, sharpness), None
         for batch in batches:
-            for part in text_slices(batch, budget=2 << 20):
+            for part in text_slices(batch, budget=SLICE):
                 keys, texts = part.column("doc_id").to_pylist(), part.column("text").to_pylist()
-                row, sample, n, lp, value, inclusion, ids, exact = [], [], [], [], [], [], [], []
-                for i, found in enumerate(sample_batch(pieces, keys, texts, k, seed)):
-                    for s, (numbers, log_p, perturbed, share) in enumerate(found):
-                        row.append(i)
-                        sample.append(s + 1)
-                        n.append(len(numbers))
-                        lp.append(log_p)
-                        value.append(perturbed)
-                        inclusion.append(share)
-                        ids.append(numbers.astype("<i4").tobytes())
-                        exact.append(pieces.decode(numbers.tolist()) == (texts[i] or ""))
-                kinds = (("sample", sample, pa.int32()), ("n_tokens", n, pa.int64()), ("log_prob", lp, pa.float64()), ("perturbed", value, pa.float64()), ("inclusion", inclusion, pa.float64()), ("ids", ids, pa.binary()), ("round_trip", exact, pa.bool_()))
-                yield pa.RecordBatch.from_arrays([part.column("doc_id").take(pa.array(row, pa.int64())), *[pa.array(x, t) for _, x, t in kinds]], names=["doc_id", *[x for x, _, _ in kinds]])
+                if kept is None:
+                    first = next(text_slices(batch, budget=8 * SLICE))
+                    kept = Kept(pieces, first.column("text").to_pylist() if first.nbytes < 16 * SLICE else texts)
+                found = sample_batch(pieces, keys, texts, k, seed, kept)
+                row = [i for i, of in enumerate(found) for _ in of]
+                numbers, log_p, perturbed, inclusion = zip(*(x for of in found for x in of), strict=True)
+                packed = [x.astype("<i4") for x in numbers]
+                exact = [_decodes(pieces, x, texts[i]) for i, x in zip(row, packed, strict=True)]
+                columns = {
+                    "sample": pa.array([s + 1 for of in found for s in range(len(of))], pa.int32()), "n_tokens": pa.array(map(len, packed), pa.int64()),
+                    "log_prob": pa.array(log_p, pa.float64()), "perturbed": pa.array(perturbed, pa.float64()), "inclusion": pa.array(inclusion, pa.float64()),
+                    "ids": pa.array([x.tobytes() for x in packed], pa.binary()), "round_trip": pa.array(exact, pa.bool_()),
+                }
+                yield pa.RecordBatch.from_arrays([part.column("doc_id").take(pa.array(row, pa.int64())), *columns.values()], names=["doc_id", *columns])
 
     return run
 
 
+def _decodes(pieces: Pieces, ids: np.ndarray, text: str | None) -> bool:
+    """Whether piece numbers decode to the text."""
+    raw = pieces.raw(ids).tobytes()
+    return raw.removeprefix(b" ") == (text or "").encode()
+
+
 def sample_segmentations(docs: DataFrame, model_file: str, k: int = 3, seed: int = 11, sharpness: float = 1.0) -> DataFrame:
     """Up to k distinct segmentations of every text.
 
