@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -15,6 +16,7 @@ from pyspark.sql import functions as F
 
 #: Words are maximal runs of anything but ASCII white space.  Fixed value of the word contract.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
+_SPACE = re.compile(rb"[\x20\x09-\x0D]")
 #: Spark's setting by which a finished query removes its own shuffle files.
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 SLICE_BYTES = 4 << 20
@@ -106,6 +108,18 @@ def text_slices(batch: pa.RecordBatch, column: str = "text", budget: int = SLICE
         start = stop
 
 
+def word_chunks(data: bytes, size: int = 1 << 18) -> Iterator[list[bytes]]:
+    """The words of a text in runs of about ``size`` bytes, so that a very long text never is one list of words."""
+    at = 0
+    while at < len(data):
+        end = at + size
+        cut = _SPACE.search(data, end) if end < len(data) else None
+        end = cut.start() if cut else len(data)
+        if words := data[at:end].split():
+            yield words
+        at = end
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective mixer of 64-bit words (the public splitmix64 finaliser)."""
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
