@@ -1,25 +1,28 @@
 """SimHash near-duplicates through an inverted index of byte positions with count filtering.
 
-A fingerprint of 64 bits is 8 bytes in 8 positions.  Two fingerprints with at most 4 differing bits share at
-least 4 positional bytes, so 4 is the guaranteed minimum of matches.  A posting list of one positional byte would
-hold a 256th of the corpus, so the index is keyed by what the count filter asks for: every set of 4 positions
-with its 4 bytes (70 postings a fingerprint, 2**32 lists a set).  Pairs that meet in a list have their shared
-positional bytes tallied; the pair counts only in the first set that its tally names, and only if it reaches the
-minimum; then the differing bits are verified.
+A fingerprint of 64 bits is 8 bytes in 8 positions.  Two fingerprints with at most 4 differing bits share at least 4
+positional bytes, so 4 is the guaranteed minimum of matches.  A posting list of one positional byte would hold a 256th of
+the corpus, so a list is keyed by three positions with their bytes.  The first three positions that a wanted pair shares
+are among the first seven, so 35 sets of three find every such pair.  Pairs that meet in a list have their shared
+positional bytes tallied over all eight positions; a pair goes on only if the tally reaches 4 (most pairs that meet by
+chance share just the three), and only from the list of its first three shared positions, so it is looked at once.
+What is left is verified by its differing bits.
 
 Copies fold first: the index holds distinct fingerprints, and a list emits a forest of its verified pairs, never
-all pairs.  A list of more than ``most`` members is passed on, unpaired, to a second index over the 8 half bytes
-that are left (4 of 8 must match again); its lists have 16 free bits, so they have a bound of 65,536 members.
+all pairs.  A list of more than ``most`` members is passed on, unpaired: its members are posted again under a fourth
+position behind the three (with 70 sets of four in all), and lists of those that are still too long under four of the
+eight half bytes that are left (4 of 8 must match again); these have 16 free bits, so 65,536 members is their bound.
 
 Defined cases: null, empty or blank text has fingerprint zero and links like any other; rows with a null
 ``doc_id`` get a fingerprint and take part as documents without an id (component by the other members, null if
-alone); an empty table gives an empty result; extra columns are ignored.
+alone); repeated rows get equal rows; a very long text is hashed in runs of about 256 KB of words; an empty table gives
+an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import combinations, pairwise
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -27,45 +30,61 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import plain, text_slices
+from .common import materialize, mix64, plain, text_slices, word_chunks
 from .components import components
 
 SHINGLE, SEED = 4, 42
+#: Half-byte sets of the last index, and position sets of the first.
 SETS = list(combinations(range(8), 4))
+FIRST_SETS = list(combinations(range(7), 3))
 #: Which bits of a byte are set, by its value.
 _BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1).astype(np.int64)
 
 
-def fingerprints(texts: list[str | None], shingle: int = SHINGLE, seed: int = SEED) -> np.ndarray:
-    """Majority-bit fingerprints of word shingles, as unsigned 64-bit numbers."""
-    digest = xxhash.xxh64_intdigest
-    hashes, counts = [], np.zeros(len(texts), np.int64)
-    for i, text in enumerate(texts):
-        words = text.encode().lower().split() if text else ()
-        if not words:
-            continue
-        joined = b" ".join(words)
-        if len(words) <= shingle:
-            hashes.append(digest(joined, seed))
-            counts[i] = 1
+def _shingle_hashes(text: str, shingle: int, seed: int) -> Iterator[np.ndarray]:
+    """Hashes of the shingles of a text, by runs of its words; of the whole sequence if it is shorter than a shingle."""
+    digest, before, any_ = xxhash.xxh64_intdigest, [], False
+    for words in word_chunks(text.encode("utf-8", "surrogatepass").lower()):
+        words = before + words
+        before = words[1 - shingle :]
+        if len(words) < shingle:
             continue
+        joined, any_ = b" ".join(words), True
         ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
-        starts = np.concatenate(([0], ends[:-shingle])).tolist()
-        hashes += [digest(joined[a:b], seed) for a, b in zip(starts, (ends[shingle - 1 :] - 1).tolist(), strict=True)]
-        counts[i] = len(starts)
-    out = np.zeros((len(texts), 8), np.uint8)
-    if hashes:
-        by = np.array(hashes, np.uint64).astype(">u8").view(np.uint8).reshape(-1, 8)
-        doc = np.repeat(np.arange(len(texts)) * 256, counts)
+        starts = [0, *ends[:-shingle].tolist()]
+        yield np.fromiter((digest(joined[a:b], seed) for a, b in zip(starts, (ends[shingle - 1 :] - 1).tolist(), strict=True)), np.uint64, len(starts))
+    if before and not any_:
+        yield np.array([digest(b" ".join(before), seed)], np.uint64)
+
+
+def fingerprints(texts: list[str | None], shingle: int = SHINGLE, seed: int = SEED, most: int = 1 << 16) -> np.ndarray:
+    """Majority-bit fingerprints of word shingles, as unsigned 64-bit numbers."""
+    tally, counts = np.zeros((len(texts), 8, 8), np.int64), np.zeros(len(texts), np.int64)
+    held, size = [], 0
+
+    def add() -> None:
+        by = np.concatenate([h for _, h in held]).astype(">u8").view(np.uint8).reshape(-1, 8)
+        who, many = np.array([i for i, _ in held]), np.array([len(h) for _, h in held])
+        row = np.repeat(np.arange(len(held)) * 256, many)
+        np.add.at(counts, who, many)
         for k in range(8):
-            tally = np.bincount(doc + by[:, k], minlength=len(texts) * 256).reshape(-1, 256) @ _BITS
-            out[:, k] = np.packbits(tally * 2 > counts[:, None], axis=1)[:, 0]
-    return out.reshape(-1).view(">u8").astype(np.uint64)
+            np.add.at(tally[:, k], who, np.bincount(row + by[:, k], minlength=len(held) * 256).reshape(-1, 256) @ _BITS)
+
+    for i, text in enumerate(texts):
+        for hashes in _shingle_hashes(text, shingle, seed) if text else ():
+            held.append((i, hashes))
+            size += len(hashes)
+            if size >= most:
+                add()
+                held, size = [], 0
+    if held:
+        add()
+    return np.packbits(tally * 2 > counts[:, None, None], axis=2)[:, :, 0].copy().view(">u8")[:, 0].astype(np.uint64)
 
 
 def _print_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for part in text_slices(batch, budget=2 << 20):
+        for part in text_slices(batch, budget=1 << 18):
             fp = fingerprints(part.column("text").to_pylist())
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(fp.view(np.int64))], names=["doc_id", "fp"])
 
@@ -90,40 +109,39 @@ def _forest(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return nodes[other], nodes[label[other]]
 
 
-def _pairs(fp: np.ndarray, group: np.ndarray, sets: np.ndarray, units: int, most_bits: int) -> tuple[np.ndarray, np.ndarray]:
-    """Verified links among members of equal group; members are sorted by group."""
+def _pairs(fp: np.ndarray, group: np.ndarray, sets: np.ndarray, named: int, most_bits: int) -> tuple[np.ndarray, np.ndarray]:
+    """Verified links among members of equal group; members are sorted by group.
+
+    Shared positional bytes are tallied first; a pair must reach 8 - ``most_bits`` of them, and the first ``named`` of
+    those must be the list's own (0: any list will do).
+    """
     left, right = [], []
     live = np.arange(len(fp))
     step = 1
-    width = np.uint64(64 // units) if units == 8 else np.uint64(4)
+    places = 1 << np.arange(8)
     while True:
         live = live[live + step < len(fp)]
         live = live[group[live] == group[live + step]]
         if not len(live):
             break
         x = fp[live] ^ fp[live + step]
-        near = np.bitwise_count(x) <= most_bits
-        at, x = live[near], x[near]
+        shared = x.astype(">u8").view(np.uint8).reshape(-1, 8) == 0
+        keep = shared.sum(1) >= 8 - most_bits
+        if named:
+            first = shared & (np.cumsum(shared, axis=1) <= named)
+            keep &= first @ places == sets[live]
+        at = live[keep]
+        at = at[np.bitwise_count(x[keep]) <= most_bits]
         if len(at):
-            shared = np.zeros((len(at), 8), bool)
-            if units == 8:
-                for k in range(8):
-                    shared[:, k] = (x >> (np.uint64(56) - width * np.uint64(k))) & np.uint64(255) == 0
-                tally = shared.sum(1)
-                first = np.cumsum(shared, axis=1) <= 4
-                named = ((shared & first) @ (1 << np.arange(8)))
-                keep = (tally >= 4) & (named == sets[at])
-                at = at[keep]
             left.append(fp[at])
             right.append(fp[at + step])
         step += 1
     if not left:
         return np.zeros(0, np.uint64), np.zeros(0, np.uint64)
-    a, b = np.concatenate(left), np.concatenate(right)
-    return _forest(a, b) if len(a) else (a, b)
+    return _forest(np.concatenate(left), np.concatenate(right))
 
 
-def _link_rows(most_bits: int, most: int, exact_sets: bool):
+def _link_rows(most_bits: int, most: int, named: int):
     """Rows (key, mask, fp) sorted by key -> links (a, b); lists of over ``most`` members come out with b null."""
 
     def out(a, b, mask=None):
@@ -131,7 +149,7 @@ def _link_rows(most_bits: int, most: int, exact_sets: bool):
         return pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.nulls(len(a), pa.int64()) if none else pa.array(b.view(np.int64)), pa.array(mask if none else np.zeros(len(a), np.int32))], names=["a", "b", "mask"])
 
     def done(key, mask, fp):
-        a, b = _pairs(fp, key, mask, 8 if exact_sets else 0, most_bits)
+        a, b = _pairs(fp, key, mask, named, most_bits)
         if len(a):
             yield out(a, b)
 
@@ -178,10 +196,10 @@ def _link_rows(most_bits: int, most: int, exact_sets: bool):
 
 
 def _postings(fp: Column) -> Column:
-    """The 70 keys of a fingerprint: which 4 positions, and their bytes."""
+    """The 35 keys of a fingerprint: which 3 positions, and their bytes."""
     byte = [F.shiftrightunsigned(fp, 56 - 8 * k).bitwiseAND(F.lit(255).cast("long")) for k in range(8)]
     entries = []
-    for n, positions in enumerate(SETS):
+    for n, positions in enumerate(FIRST_SETS):
         key = F.lit(n).cast("long")
         for k in positions:
             key = F.shiftleft(key, 8).bitwiseOR(byte[k])
@@ -189,6 +207,20 @@ def _postings(fp: Column) -> Column:
     return F.array(*entries)
 
 
+def _fourth_postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Members of an overfull list of 3 positions, under each position behind these as well."""
+    for batch in batches:
+        fp = batch.column("a").to_numpy(zero_copy_only=False).view(np.uint64)
+        mask = batch.column("mask").to_numpy(zero_copy_only=False)
+        for held in np.unique(mask).tolist():
+            f = fp[mask == held]
+            for k in range(held.bit_length(), 8):
+                wider = held | 1 << k
+                fixed = np.uint64(sum(255 << (56 - 8 * j) for j in range(8) if wider >> j & 1))
+                key = mix64((f & fixed) + np.uint64(wider))
+                yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(np.full(len(f), wider, np.int32)), pa.array(f.view(np.int64))], names=["key", "mask", "fp"])
+
+
 def _half_byte_postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Members of an overfull list, by the half bytes of the 4 positions which that list leaves free."""
     for batch in batches:
@@ -210,14 +242,34 @@ def _half_byte_postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Record
                 yield pa.RecordBatch.from_arrays([pa.array(fixed.view(np.int64)), pa.array((sub | (np.uint64(held) << np.uint64(32))).view(np.int64)), pa.array(m), pa.array(f.view(np.int64))], names=["fixed", "key", "mask", "fp"])
 
 
+def _listed(posted: DataFrame, most_bits: int, most: int, named: int) -> DataFrame:
+    """Links of posting lists, and members of overfull ones (b null)."""
+    dealt = posted.repartition("key").sortWithinPartitions("key", "fp").select("key", "mask", "fp")
+    return dealt.mapInArrow(_link_rows(most_bits, most, named), "a long, b long, mask int")
+
+
 def simhash_links(prints: DataFrame, most_bits: int = 4, most: int = 4096) -> DataFrame:
     """Links (a, b) between distinct fingerprints ``prints``(fp), enough to connect all pairs within ``most_bits``."""
     if most_bits > 4:
         raise ValueError("4 shared bytes are guaranteed for at most 4 differing bits")
-    distinct = prints.select("fp").distinct()
-    posted = distinct.select("fp", F.inline(_postings(F.col("fp")))).repartition("key").sortWithinPartitions("key", "fp")
-    found = posted.select("key", "mask", "fp").mapInArrow(_link_rows(most_bits, most, True), "a long, b long, mask int")
-    return found
+    if most > 1 << 16:
+        raise ValueError("lists of the last index have 65,536 members at most")
+    parts = int(prints.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    # few bytes a fingerprint, but 35 rows each: spread them before they grow
+    distinct = prints.select("fp").distinct().repartition(parts, "fp")
+    found = materialize(_listed(distinct.select("fp", F.inline(_postings(F.col("fp")))), most_bits, most, 3), "pairs")
+    links, over = found.where("b IS NOT NULL").select("a", "b"), found.where("b IS NULL").select("a", "mask")
+    if not over.limit(1).count():
+        return links
+    found = materialize(_listed(over.mapInArrow(_fourth_postings, "key long, mask int, fp long"), most_bits, most, 4), "pairs")
+    links, over = links.unionByName(found.where("b IS NOT NULL").select("a", "b")), found.where("b IS NULL").select("a", "mask")
+    if not over.limit(1).count():
+        return links
+    again = over.mapInArrow(_half_byte_postings, "fixed long, key long, mask int, fp long").withColumn("key", F.xxhash64("fixed", "key"))
+    found = materialize(_listed(again, most_bits, 1 << 16, 0), "pairs")
+    if found.where("b IS NULL").limit(1).count():
+        raise RuntimeError("a half-byte list has more members than its free bits allow")
+    return links.unionByName(found.select("a", "b"))
 
 
 def near_duplicate_components(docs: DataFrame, most_bits: int = 4, most: int = 4096) -> DataFrame:
@@ -226,18 +278,9 @@ def near_duplicate_components(docs: DataFrame, most_bits: int = 4, most: int = 4
     Returns doc_id, fp (the fingerprint's bits as a signed long) and component_id (the smallest doc_id reachable
     over links of at most ``most_bits`` differing bits).
     """
-    from .common import materialize
-
     prints = materialize(plain(docs, "doc_id", "text").mapInArrow(_print_rows, "doc_id long, fp long"), "prints")
     owners = prints.groupBy("fp").agg(F.min("doc_id").alias("low"))
-    found = materialize(simhash_links(owners, most_bits, most), "pairs")
-    links = found.where("b IS NOT NULL").select("a", "b")
-    over = found.where("b IS NULL").select("a", "mask")
-    if over.limit(1).count():
-        again = over.mapInArrow(_half_byte_postings, "fixed long, key long, mask int, fp long")
-        again = again.withColumn("key", F.xxhash64("fixed", "key")).repartition("key").sortWithinPartitions("key", "fp")
-        more = again.select("key", "mask", "fp").mapInArrow(_link_rows(most_bits, 1 << 16, False), "a long, b long, mask int")
-        links = links.unionByName(more.where("b IS NOT NULL").select("a", "b"))
+    links = simhash_links(owners, most_bits, most)
     class_of = components(links)
     named = owners.join(class_of.withColumnRenamed("node", "fp"), "fp", "left").withColumn("component", F.coalesce("component", "fp"))
     lowest = named.groupBy("component").agg(F.min("low").alias("component_id"))
