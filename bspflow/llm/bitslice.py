@@ -8,13 +8,16 @@ the slices of equal weight until one slice of each weight is left, the slices of
 a walk from the most significant slice down: rows with the bit set are surely in if they are at most k, else they
 are the only ones left; rows still equal at the end are the boundary, resolved by the smaller vec_id.
 
-Queries are a stated set and meet the index in blocks: each block of rows is read once for each block of queries.
-A block sends k rows a query, which a window ranks.  Nothing depends on how values repeat.
+Queries are a stated set and meet the index in tiles: a block of rows and a set of queries.  A tile's work grows with both
+sides and its bytes with one, so sets are as large as ``query_block`` where blocks alone keep the cluster busy: an
+index block then moves once for that many queries (some 5 MB for ten seconds of work), and a set once for each block.
+Where blocks are few, sets are smaller, so that no task has all the work.  A tile sends k rows a query, which a window
+ranks.  Nothing depends on how values repeat.
 
 Defined cases: null or empty vectors, vectors with null, NaN or infinite components, null ids and vectors of
-another length than most are left out; components saturate at 2**24 in magnitude after scaling so that scores fit
-a long; rows that repeat an id count once (the smallest vector); fewer candidates than k are all returned; empty
-tables give empty results; extra columns are ignored.
+another length than most are left out; components are whole longs of any size, and scores that might not fit a long
+raise before any is computed; rows that repeat an id count once (the smallest vector); fewer candidates than k all are
+returned; empty tables give empty results; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -29,12 +32,19 @@ from pyspark.sql import functions as F
 from .ann import top_k, usable
 from .common import materialize
 
-LIMIT = 1 << 24
+#: Largest size of a vector, and of a product of two, that whole longs hold with a margin for the index's sums.
+MOST = float(1 << 62)
 
 
 def quantise(scale: float):
-    """floor(scale * x) as a whole number, saturated at LIMIT."""
-    return lambda x: F.greatest(F.least(F.floor(x * scale), F.lit(LIMIT)), F.lit(-LIMIT)).cast("int")
+    """floor(scale * x) as a whole number; ``check_range`` tells whether all fit."""
+    return lambda x: F.floor(x * scale).cast("long")
+
+
+def check_range(longest: float | None, asked: float | None) -> None:
+    """Raise unless components and all inner products of vectors of these lengths fit a long."""
+    if longest is not None and (longest >= MOST or longest * (asked or 0.0) >= MOST):
+        raise OverflowError(f"vectors of length {longest:.3g} and {asked or 0.0:.3g} have inner products beyond a long; take a smaller scale")
 
 
 class Block:
@@ -135,11 +145,13 @@ class Block:
                 break
         rows = self._rows(sure)
         rows = np.concatenate((rows, self._rows(maybe)[: k - n_sure]))
-        total = np.full(len(rows), constant, np.int64)
+        # sums may pass a long's range on the way; modulo 2**64 they come out right, as the score itself fits
+        total = np.full(len(rows), constant & (1 << 64) - 1, np.uint64)
         shift = (rows & 63).astype(np.uint64)
         for w, s in slices:
-            total += ((s[rows >> 6] >> shift) & np.uint64(1)).astype(np.int64) << w
-        return self.ids[rows], total
+            if w < 64:
+                total += ((s[rows >> 6] >> shift) & np.uint64(1)) << np.uint64(w)
+        return self.ids[rows], total.view(np.int64)
 
     def _rows(self, bitmap: np.ndarray) -> np.ndarray:
         some = np.flatnonzero(bitmap)
@@ -161,6 +173,8 @@ def signed_digits(q: int) -> list[tuple[int, int]]:
     return out
 
 
+#: Most partitions that tiles are dealt to.
+MOST_PARTITIONS = 20_000
 _PARTS = ("ids", "low", "bits", "slices")
 
 
@@ -200,23 +214,30 @@ def build_index(base: DataFrame, rows: int, block: int = 1 << 16) -> DataFrame:
     return dealt.groupBy("block").agg(F.collect_list(F.struct("vec_id", "z")).alias("members")).mapInArrow(_index_rows, "block int, ids binary, low binary, bits binary, slices binary")
 
 
-def exact_top_k(vectors: DataFrame, queries: DataFrame, k: int = 20, scale: float = 64.0, block: int = 1 << 16, query_block: int = 256, vector: str = "embedding") -> DataFrame:
+def exact_top_k(vectors: DataFrame, queries: DataFrame, k: int = 20, scale: float = 64.0, block: int = 1 << 16, query_block: int = 4096, vector: str = "embedding") -> DataFrame:
     """The k best of ``vectors`` for each of ``queries`` by inner product of quantised components.
 
     Returns query_id, rank (from 1), vec_id, score.
     """
-    whole = lambda df: usable(df, vector, zero=True).select("vec_id", F.transform("v", quantise(scale)).alias("z"))
+    spark = vectors.sparkSession
+    length = F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + F.floor(x * scale).cast("double") * F.floor(x * scale).cast("double"))).alias("length")
+    whole = lambda df: usable(df, vector, zero=True).select("vec_id", F.transform("v", quantise(scale)).alias("z"), length)
     base = materialize(whole(vectors), "quantised")
-    told = base.agg(F.count("*").alias("n"), F.max(F.size("z")).alias("width")).first()
+    told = base.agg(F.count("*").alias("n"), F.max(F.size("z")).alias("width"), F.max("length").alias("longest")).first()
     if not told.n:
-        return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
     asked = (base.join(queries.select("vec_id").distinct(), "vec_id", "left_semi") if queries is not vectors else base).where(F.size("z") == told.width)
     asked = materialize(asked.withColumnRenamed("vec_id", "query_id"), "asked")
-    n_asked = asked.count()
-    q_blocks = max(1, -(-n_asked // query_block))
+    n = asked.agg(F.count("*").alias("asked"), F.max("length").alias("longest")).first()
+    check_range(told.longest, n.longest)
+    blocks = max(1, -(-told.n // block))
+    busy = 4 * spark.sparkContext.defaultParallelism
+    q_blocks = max(1, -(-n.asked // query_block), min(-(-busy // blocks), -(-n.asked // 64)))
     index = materialize(build_index(base, told.n, block), "index")
     sets = asked.withColumn("q_block", F.pmod(F.xxhash64("query_id"), F.lit(q_blocks)).cast("int")).groupBy("q_block").agg(F.collect_list(F.struct("query_id", "z")).alias("asked"))
-    dealt = index.withColumn("q_block", F.explode(F.sequence(F.lit(0), F.lit(q_blocks - 1))))
-    met = dealt.join(sets, "q_block").select(*_PARTS, "asked")
+    tiles = min(blocks * q_blocks, MOST_PARTITIONS)
+    dealt = index.withColumn("q_block", F.explode(F.sequence(F.lit(0), F.lit(q_blocks - 1)))).repartition(tiles, "block", "q_block")
+    asking = sets.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).repartition(tiles, "block", "q_block")
+    met = dealt.join(asking.hint("shuffle_hash"), ["block", "q_block"]).select(*_PARTS, "asked")
     scored = met.mapInArrow(_search_rows(k), "query_id long, vec_id long, score long")
     return top_k(scored, k)
