@@ -247,7 +247,7 @@ def _blocks(rows: DataFrame, keys: list[str], count: Column, item: Column, name:
     return rows.withColumn(f"{name}_block", F.pmod(F.xxhash64("part_key"), count)).groupBy(*keys, f"{name}_block").agg(F.collect_list(item).alias(name))
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, trees: int = 4, leaf_rows: int = 512, most_leaves: int = 1024, sample: int = 16384, recall: float = 0.95, block: int = 2048, seed: int = 7, vector: str = "embedding") -> DataFrame:
+def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, trees: int = 4, leaf_rows: int = 256, most_leaves: int = 1024, sample: int = 16384, recall: float = 0.95, block: int = 2048, seed: int = 7, vector: str = "embedding") -> DataFrame:
     """The k nearest of ``vectors`` found for each of ``queries`` (both with vec_id and the vector column).
 
     Returns query_id, rank (from 1), vec_id, score; ties go to the smaller vec_id.  ``sample`` bounds what the
@@ -262,7 +262,8 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, trees: int = 4,
         return empty
     fitted = base.orderBy(F.xxhash64("vec_id", F.lit(seed)), "vec_id").limit(sample).toPandas()
     points, ids = np.array(fitted["v"].tolist(), np.float64), fitted["vec_id"].to_numpy(np.int64)
-    leaves = int(min(most_leaves, max(1, told.n // leaf_rows), max(1, len(points) // 16)))
+    # small tables have leaves of 16 rows and more, so that the forest does its work at every size
+    leaves = int(min(most_leaves, max(told.n // leaf_rows, 8), max(1, len(points) // 16)))
     forest = Forest(points, told.top, trees, leaves, seed)
     share = _calibrate(forest, points, k, recall)
     parts = {"forest": forest, "width": told.width, "points": points, "ids": ids, "home": forest.leaf_of(points)}
