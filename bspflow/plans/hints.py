@@ -37,10 +37,8 @@ class PlanHints:
     partitions: int | None = None
     #: AUTO takes LEFT while (live + receivers) / vertices is below this
     sparse_below: float = 0.1
-    #: LEFT broadcasts the active set up to this many rows, and probes by hash beyond
-    broadcast_rows: int = 100_000
-    #: deltas kept before they are folded
-    fold_every: int = 4
+    #: layers of changed rows kept before they are merged
+    fold_every: int = 8
 
 
 def all_plans() -> list[PlanHints]:

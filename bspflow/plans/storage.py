@@ -1,4 +1,4 @@
-"""Vertex stores: whole snapshots, or a base with a log of changed rows that is folded now and then."""
+"""Vertex stores: whole snapshots, or a base with a log of changed rows that is merged now and then."""
 
 from __future__ import annotations
 
@@ -9,38 +9,71 @@ from .hints import PlanHints, Store
 
 
 class VertexStore:
-    """The current state of all vertices, partitioned by vid."""
+    """The current state of all vertices, partitioned by vid.
+
+    DELTA_LOG keeps the rows that a superstep changed as a layer of its own.  Layers are merged among themselves when
+    there are ``fold_every`` of them, and into the base when they hold half as many rows as it does; so a superstep
+    costs what it changes, and the base is rewritten a few times in a run.
+    """
 
     def __init__(self, state: DataFrame, hints: PlanHints, pin):
-        self.base, self.deltas, self.hints, self.pin = state, [], hints, pin
+        self.hints, self.pin, self.columns, self.held = hints, pin, state.columns, None
+        self.replace(state)
+
+    def _numbered(self, rows: DataFrame) -> DataFrame:
+        return rows.selectExpr(*self.columns, f"{len(self.deltas)} AS version")
+
+    def _newest(self, rows: DataFrame, *more: str) -> DataFrame:
+        """Of rows of several layers the last one of each vertex; ``more`` are equal for all rows of a vertex."""
+        cols = ", ".join([*[c for c in self.columns if c != "vid"], *more])
+        return rows.groupBy("vid").agg(F.expr(f"max_by(struct({cols}), version) AS row")).selectExpr("vid", "row.*")
 
     def read(self) -> DataFrame:
-        """Newest row of every vertex.  Union and group-by keep the partitioning, so nothing is exchanged."""
+        """Newest row of every vertex."""
+        return self._newest(self.layers) if self.deltas else self.base
+
+    def probe(self, active: DataFrame) -> DataFrame:
+        """Newest rows of the vertices in ``active``(vid, payload), with their payload.
+
+        The active set is the build side of a hash join that streams each layer, so nothing of the size of all
+        vertices is sorted, grouped or exchanged; only what was found is folded.
+        """
+        if not self.held:  # layers are looked through again and again
+            self.held = self.base.persist()
+        asked = active.select("vid", "payload").hint("shuffle_hash")
         if not self.deltas:
-            return self.base
-        cols = [c for c in self.base.columns if c != "vid"]
-        layers = [self.base.withColumn("version", F.lit(0))]
-        layers += [d.select("vid", *cols).withColumn("version", F.lit(i + 1)) for i, d in enumerate(self.deltas)]
-        rows = layers[0]
-        for d in layers[1:]:
-            rows = rows.unionByName(d)
-        newest = rows.groupBy("vid").agg(F.max_by(F.struct(*cols), "version").alias("row"))
-        return newest.select("vid", "row.*")
+            return self.base.join(asked, "vid")
+        return self._newest(self.layers.join(asked, "vid"), "payload")
+
+    def release(self) -> None:
+        if self.held:
+            self.held.unpersist()
+        self.held = None
 
     def replace(self, state: DataFrame) -> None:
-        self.base, self.deltas = state, []
-
-    def upsert(self, changed: DataFrame) -> None:
-        """Add rows that are new or changed."""
-        cols = self.base.columns
-        if self.hints.store is Store.DELTA_LOG:
-            self.deltas.append(changed.select(*cols))
-            if len(self.deltas) >= self.hints.fold_every:
-                self.replace(self.pin(self.read().select(*cols)))
+        self.release()
+        self.base, self.deltas, self.delta_rows = state, [], 0
+        #: all rows with the number of their layer; a union keeps the partitioning, so nothing is exchanged
+        self.layers = self._numbered(state)
+
+    def _append(self, changed: DataFrame) -> None:
+        self.deltas.append(changed)
+        self.layers = self.layers.unionByName(self._numbered(changed))
+
+    def upsert(self, changed: DataFrame, n_changed: int, n_vertices: int) -> None:
+        """Add the ``n_changed`` rows that are new or changed; ``n_vertices`` is how many vertices there are."""
+        if not n_changed:
+            return
+        if self.hints.store is not Store.DELTA_LOG:
+            kept = self.base.join(changed.select("vid").hint("shuffle_hash"), "vid", "left_anti")
+            self.replace(self.pin(kept.unionByName(changed.select(*self.columns))))
             return
-        # a struct tells a changed row from a missing one even where all its fields are null
-        rows = changed.select("vid", F.struct(*[F.col(c) for c in cols if c != "vid"]).alias("new"))
-        both = self.base.join(rows, "vid", "left")
-        kept = both.select("vid", *[F.when(F.col("new").isNotNull(), F.col(f"new.{c}")).otherwise(F.col(c)).alias(c) for c in cols if c != "vid"])
-        new = rows.join(self.base.select("vid"), "vid", "left_anti").select("vid", "new.*")
-        self.replace(self.pin(kept.unionByName(new)))
+        self._append(changed)
+        self.delta_rows += n_changed
+        if 2 * self.delta_rows >= n_vertices:
+            self.replace(self.pin(self.read().select(*self.columns)))
+        elif len(self.deltas) >= self.hints.fold_every:
+            merged = self.pin(self._newest(self.layers.where("version > 0")).select(*self.columns))
+            self.deltas = []
+            self.layers = self._numbered(self.base)
+            self._append(merged)

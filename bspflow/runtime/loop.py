@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..model import Graph
 from ..plans import combine as combining
-from ..plans.hints import Join, PlanHints
+from ..plans.hints import Join, PlanHints, Store
 from ..plans.logical import active_set, create_missing, deliver_full, is_active
 from ..plans.storage import VertexStore
 from ..program import Context, Program, Step
@@ -72,42 +72,47 @@ def run(graph: Graph, program: Program, hints: PlanHints = PlanHints(), max_supe
             state, msg = pins.pin(state), empty
         store = VertexStore(state, hints, pins.pin)
         live: DataFrame | None = None
-        n_vertices = n_active = None
+        n_vertices = n_active = n_live = None
+        all_live = not found
         try:
             while not gs.halt and (max_supersteps is None or gs.superstep <= max_supersteps):
                 began = time.time()
                 join = _join_for(hints, n_vertices, n_active)
-                current = store.read()
                 pins.age += 1
                 if join is Join.LEFT:
-                    if n_vertices is None:
-                        n_vertices = current.count()
-                    bare = live if live is not None else current.where(~F.col("halt")).select("vid")
-                    active = active_set(bare, msg)
-                    if n_active is not None and n_active <= hints.broadcast_rows:
-                        rows = current.join(F.broadcast(active), "vid")
+                    if all_live:  # nothing to look for: the active set is everything
+                        rows = store.read().withColumn("payload", F.lit(None).cast(program.payload_type)).withColumn("created", F.lit(False))
                     else:
-                        rows = current.join(active.hint("shuffle_hash"), "vid")
-                    rows = rows.withColumn("created", F.lit(False))
-                    if program.creates:
-                        rows = rows.unionByName(create_missing(current, active).withColumn("created", F.lit(True)))
+                        if n_live == 0:
+                            active = msg
+                        else:
+                            bare = live if live is not None else store.read().where(~F.col("halt")).select("vid")
+                            active = active_set(bare, msg)
+                        rows = store.probe(active).withColumn("created", F.lit(False))
+                        if program.creates:
+                            rows = rows.unionByName(create_missing(store.read(), active).withColumn("created", F.lit(True)))
                 else:
+                    current = store.read()
                     rows = deliver_full(current, msg).withColumn("created", F.lit(False))
                     if program.creates and gs.superstep > 1:
                         rows = rows.unionByName(create_missing(current, msg).withColumn("created", F.lit(True)))
                 seen = Observation()
+                logs = hints.store is Store.DELTA_LOG
                 out = pins.pin(_compute(rows, program, gs, join).observe(seen, *_counts(program)))
                 row = seen.get
-                if join is Join.LEFT:
-                    store.upsert(out.select("vid", "halt", "value", "degree"))
-                    live = out.where("NOT halt").select("vid")
-                    n_vertices += row["created"]
+                if (join is Join.LEFT or logs) and not all_live:
+                    n_vertices = row["vertices"] if join is Join.FULL else n_vertices + row["created"]
+                    changed = out.where("ran") if join is Join.FULL else out
+                    store.upsert(changed.select("vid", "halt", "value", "degree"), row["ran"], n_vertices)
+                    live = out.where("ran AND NOT halt").select("vid")
                 else:
                     store.replace(out.select("vid", "halt", "value", "degree"))
-                    live, n_vertices = None, row["vertices"]
+                    live, n_vertices, all_live = None, row["vertices"], False
+                n_live = row["live"]
                 sent = row["messages"] > 0
                 stats.append({"superstep": gs.superstep, "vertices": n_vertices, "ran": row["ran"], "live": row["live"], "senders": row["senders"], "messages": row["messages"], "received": row["received"], "join": join.value, "seconds": time.time() - began})
-                raw = out.where("send IS NOT NULL").join(topology, F.col("vid") == F.col("src"))
+                senders = out.where("send IS NOT NULL").select("vid", "send")
+                raw = topology.join(senders.hint("shuffle_hash"), F.col("vid") == F.col("src")) if join is Join.LEFT else senders.join(topology, F.col("vid") == F.col("src"))
                 raw = raw.select(F.col("dst").alias("vid"), program.edge_payload(F.col("send"), F.col("weight")).cast(program.payload_type).alias("payload"))
                 msg = combining.combine(raw, program.combiner, hints.groupby, hints.connector, parts) if sent else empty
                 n_active = row["live"] + min(row["messages"], n_vertices)
@@ -116,12 +121,16 @@ def run(graph: Graph, program: Program, hints: PlanHints = PlanHints(), max_supe
                 gs = gs.next(bool(halt), aggregates)
                 if not store.deltas:
                     pins.drop_before(pins.age)
-                if checkpoint and checkpoint_when and (checkpoint_when(gs) if callable(checkpoint_when) else (gs.superstep - 1) % checkpoint_when == 0):
+                due = checkpoint and checkpoint_when and (checkpoint_when(gs) if callable(checkpoint_when) else (gs.superstep - 1) % checkpoint_when == 0)
+                if sent and not halt and (due or program.creates):
+                    msg = pins.pin(msg)  # read twice: combine them once
+                if due:
                     checkpoint.save(gs, store.read().select("vid", "halt", "value", "degree"), msg)
                 if stop_after and gs.superstep > stop_after:
                     break
             final = store.read().select("vid", "value", "degree").checkpoint(eager=True)
         finally:
+            store.release()
             pins.close()
             topology.unpersist()
     return Result(final, gs.superstep - 1, stats, gs.aggregates)
@@ -149,7 +158,7 @@ def _compute(rows: DataFrame, program: Program, gs: GlobalState, join: Join) ->
 
 
 def _counts(program: Program) -> list:
-    n = lambda c: F.coalesce(F.sum(F.when(c, 1)), F.lit(0)).cast("long")
-    sent = F.col("send").isNotNull()
-    counts = [F.count("*").alias("vertices"), n(F.col("ran")).alias("ran"), n(~F.col("halt")).alias("live"), n(sent).alias("senders"), n(F.col("received")).alias("received"), F.coalesce(F.sum(F.when(sent, F.col("degree"))), F.lit(0)).cast("long").alias("messages"), n(F.col("created")).alias("created")]
+    told = {"ran": "ran", "live": "NOT halt", "senders": "send IS NOT NULL", "received": "received", "created": "created"}
+    counts = [F.expr("count(*) AS vertices"), F.expr("coalesce(sum(if(send IS NOT NULL, degree, 0L)), 0L) AS messages")]
+    counts += [F.expr(f"count_if({c}) AS {k}") for k, c in told.items()]
     return counts + [fold(F.col(f"c_{k}")).alias(f"agg_{k}") for k, fold in program.aggregators.items()]
