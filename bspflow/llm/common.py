@@ -26,13 +26,15 @@ _made: list[tuple[SparkSession, str]] = []
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder all executors see: ``spark.checkpoint.dir``, or one made for this session if it is unset."""
+    """The folder all executors see: ``spark.checkpoint.dir``; on one machine, one made for this session if it is unset."""
     said = spark.conf.get("spark.checkpoint.dir", None)
     if said:
         return said.rstrip("/")
     there = spark.sparkContext._jsc.sc().getCheckpointDir()
     if there.isDefined():
         return there.get().rstrip("/")
+    if spark.sparkContext.master.split("[")[0] != "local":
+        raise RuntimeError("spark.checkpoint.dir is unset: executors need a folder that all of them see")
     spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
     return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
 

@@ -6,6 +6,7 @@ import random
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -461,3 +462,234 @@ def test_pipeline_stages_take_effect(spark, sf):
     for x in mixed.collect():
         sizes[x.doc_id] = sizes.get(x.doc_id, 0) + len(words(x.text))
     assert {k: v for k, v in taken.items() if v} == {k: v for k, v in sizes.items() if v}
+
+
+# ---------------------------------------------------------------- cases of round 2
+
+
+def naive_bayes(rows, text, buckets=langid.BUCKETS, smoothing=0.5):
+    """Language and posterior by plain dictionaries."""
+
+    def grams(t):
+        low = f" {t.lower()} "
+        c = [48 if 48 <= ord(x) <= 57 else 32 if ord(x) <= 32 else ord(x) for x in low]
+        for n in langid.GRAMS:
+            for i in range(len(c) - n + 1):
+                h = 0
+                for x in c[i : i + n]:
+                    h = (h * 0x01000193 & 0xFFFFFFFF) ^ x
+                m = ((h ^ (n * 0x9E3779B1 & 0xFFFFFFFF)) * 0x85EBCA6B) & 0xFFFFFFFF
+                yield ((m ^ (m >> 15)) * 0xC2B2AE35 & 0xFFFFFFFF) >> (32 - buckets.bit_length() + 1)
+
+    count, docs_ = {}, {}
+    for t, lang in rows:
+        if t and lang and any(map(str.isalpha, t)):
+            docs_[lang] = docs_.get(lang, 0) + 1
+            for b in grams(t):
+                count.setdefault(lang, {})[b] = count.setdefault(lang, {}).get(b, 0) + 1
+    if not text or not any(map(str.isalpha, text)) or not docs_:
+        return "und", 0.0
+    score = {}
+    for lang in sorted(docs_):
+        total = sum(count[lang].values()) + smoothing * buckets
+        score[lang] = np.log(docs_[lang] / sum(docs_.values())) + sum(np.log((count[lang].get(b, 0) + smoothing) / total) for b in grams(text))
+    best = max(score, key=lambda x: (score[x], [-ord(c) for c in x]))
+    return best, 1 / sum(np.exp(min(s - score[best], 50)) for s in score.values())
+
+
+def test_language_equals_plain_counting(spark):
+    import zlib
+
+    texts = ["the cat and the dog", "der Hund und die Katze", "le chat et le chien", "½ ²", "Ⅷ", None, "", "12", "the dog", "die Katze", "x", "the cat and the dog", "ünd Ärger " * 40, "日本 x"]
+    langs = ["en", "de", "fr", "en", None, "en", "fr", "de", "en", "de", None, "en", "de", "fr"]
+    df = docs(spark, texts, langs=langs).withColumn("lang_pred", F.lit("clash")).withColumn("score", F.lit(7.0))
+    known = [(t, x) for i, (t, x) in enumerate(zip(texts, langs, strict=True)) if zlib.crc32(str(i).encode()) % 5]
+    for x in langid.identify(df).collect():
+        lang, score = naive_bayes(known, texts[x.doc_id])
+        assert x.lang_pred == lang and abs(x.score - score) < 1e-4, texts[x.doc_id]
+
+
+def test_turns_of_any_size_hold_every_gram():
+    texts = ["héllo Wörld 12", "", "a", "日本語 x" * 30, "½ ²"]
+
+    def all_of(most):
+        got = [[] for _ in texts]
+        for who, many, b in langid.gram_buckets(texts, most=most):
+            end = 0
+            for w, m in zip(who, many, strict=True):
+                got[w] += b[end : end + m].tolist()
+                end += m
+            assert end == len(b)
+        return [sorted(x) for x in got]
+
+    assert all_of(4) == all_of(7) == all_of(1 << 16)
+
+
+def test_windows_in_any_turns_tell_sequences_apart(monkeypatch):
+    from bspflow.llm import common, substring
+
+    r = random.Random(1)
+    texts = [None, "", " a b ".join(["x"] * 40)] + [" ".join(r.choice("abcd") for _ in range(n)) for n in (3, 49, 50, 51, 300, 2000)]
+    whole = common.word_chunks
+    for size, most in ((64, 100), (1 << 18, 1 << 16)):
+        monkeypatch.setattr(substring, "word_chunks", lambda data, size=size: whole(data, size))
+        for w in (3, 50):
+            of, n = {}, 0
+            got = {(d, p): (a, b) for turn in substring.Windows(w, True, most).of(texts) for a, b, d, p in zip(*(x.tolist() for x in turn), strict=True)}
+            for i, t in enumerate(texts):
+                ws = (t or "").split()
+                for j in range(len(ws) - w + 1):
+                    n += 1
+                    assert of.setdefault(tuple(ws[j : j + w]), got[i, j]) == got[i, j]
+            assert n == len(got) and len(set(of.values())) == len(of)
+        for t in filter(None, texts):
+            ws = t.encode().split()
+            cuts = sorted(r.sample(range(len(ws) + 1), 4)) if len(ws) > 3 else [0, 0, 0, 0]
+            begin, end = np.array(cuts[::2]), np.array(cuts[1::2])
+            left = [x for i, x in enumerate(ws) if not any(a <= i < b for a, b in zip(begin, end, strict=True))]
+            assert substring._keep_words(t.encode(), begin, end) == (len(ws), b" ".join(left).decode())
+
+
+def test_rows_that_repeat_are_cut_alike(spark):
+    shared = " ".join(f"w{i}" for i in range(120))
+    df = docs(spark, [shared, f"head {shared} tail", "few words"]).withColumn("low", F.lit(1)).withColumn("hits", F.lit(2))
+    many = df.union(df).union(df)
+    got = sorted((x.doc_id, x.n_words, x.n_removed, x.kept_text) for x in substring_dedup(many).collect())
+    assert got == sorted([(0, 120, 0, shared), (1, 122, 120, "head tail"), (2, 2, 0, "few words")] * 3)
+
+
+def test_fingerprints_in_any_turns(monkeypatch):
+    import xxhash
+
+    from bspflow.llm import common
+
+    r = random.Random(2)
+
+    def plainly(t):
+        w = (t or "").encode().lower().split()
+        hashes = [xxhash.xxh64_intdigest(b" ".join(w[i : i + 4]), 42) for i in range(len(w) - 3)] or ([xxhash.xxh64_intdigest(b" ".join(w), 42)] if w else [])
+        return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
+
+    texts = [None, "", " ", "A b", "a B C d", "É a b c d"] + [" ".join(r.choice(["Ab", "c", "dé", "E"]) for _ in range(n)) for n in (1, 2, 3, 4, 5, 9, 300, 301)]
+    whole = common.word_chunks
+    for size, most in ((3, 5), (16, 1 << 16), (1 << 18, 5)):
+        monkeypatch.setattr(simhash, "word_chunks", lambda data, size=size: whole(data, size))
+        assert simhash.fingerprints(texts, most=most).tolist() == [plainly(t) for t in texts]
+
+
+def test_index_finds_every_close_pair_and_no_other(spark):
+    r = random.Random(3)
+    base = [r.getrandbits(64) for _ in range(40)]
+    prints = set(base)
+    for b in base:
+        for bits in (1, 3, 4, 5, 8):
+            x = b
+            for k in r.sample(range(64), bits):
+                x ^= 1 << k
+            prints.add(x)
+    prints |= {base[0] ^ (k << 24) for k in range(60)}  # many that share five bytes
+    prints = sorted(prints)
+    rows = spark.createDataFrame([(x - (1 << 64) if x >> 63 else x,) for x in prints], "fp long")
+    lead = {x: x for x in prints}
+
+    def top(links, of):
+        def find(x):
+            while of[x] != x:
+                x = of[x]
+            return x
+
+        for a, b in links:
+            of[find(a)] = find(b)
+        groups = {}
+        for x in of:
+            groups.setdefault(find(x), set()).add(x)
+        return sorted(map(sorted, groups.values()))
+
+    want = top([(a, b) for i, a in enumerate(prints) for b in prints[:i] if (a ^ b).bit_count() <= 4], dict(lead))
+    for most in (4096, 8, 2):
+        links = [(x.a & (1 << 64) - 1, x.b & (1 << 64) - 1) for x in simhash.simhash_links(rows, most=most).collect()]
+        assert top(links, dict(lead)) == want, most
+
+
+def test_samples_do_not_depend_on_kept_words():
+    pieces = spiece.Pieces(open(queries.piece_model(), "rb").read())
+    texts = ["the cat sat", None, "", "  two  spaces", "the dog and the cat sat on the mat", "naïve ▁ 日本", "the " * 50 + "end"]
+    kept = spiece.Kept(pieces, ["the cat the cat sat sat on", None, ""])
+    plainly = spiece.sample_batch(pieces, list(range(7)), texts, 3, 5)
+    for a, b in zip(plainly, spiece.sample_batch(pieces, list(range(7)), texts, 3, 5, kept), strict=True):
+        assert [x[0].tolist() for x in a] == [x[0].tolist() for x in b]
+        assert np.allclose([x[1:] for x in a], [x[1:] for x in b])
+    assert all(spiece._decodes(pieces, x[0], t) for of, t in zip(plainly, texts, strict=True) for x in of)
+
+
+def test_piece_ids_of_runs_are_those_of_the_whole(spark):
+    import sentencepiece
+
+    sp = sentencepiece.SentencePieceProcessor(model_file=queries.piece_model())
+    texts = ["abc def  ghi", "", None, " x " * 500, "é ü " * 900 + " end", "abc def  ghi"]
+    for run_chars in (5, 1 << 16):
+        got = tokens_out.piece_tokens(docs(spark, texts), queries.piece_model(), run_chars).collect()
+        assert [None if x.tokens is None else np.frombuffer(x.tokens, "<u2").tolist() for x in sorted(got, key=lambda x: x.doc_id)] == [None if t is None else sp.encode(t) for t in texts]
+
+
+def test_a_slot_is_read_by_a_seek_and_broken_shards_are_refused(spark):
+    path = shared_path(spark, "seek")
+    ids = tokens_out.piece_tokens(docs(spark, ["some words here"] * 40 + [None]), queries.piece_model())
+    m = tokens_out.write_training_order(ids, path, F.col("tokens"), length=8, width=2, end=b"\2\0", shard_rows=4)
+    rows = {x.slot: bytes(x.tokens) for x in tokens_out.read_slots(spark, path).collect()}
+    assert len(rows) == m["sequences"] and all(tokens_out.read_at(spark, path, s).tobytes() == rows[s] for s in (0, 5, m["sequences"] - 1))
+    empty = shared_path(spark, "none")
+    assert tokens_out.write_training_order(ids.limit(0), empty, F.col("tokens"), width=2, end=b"\2\0")["sequences"] == 0
+    assert tokens_out.read_slots(spark, empty).count() == 0
+    pieces = pa.RecordBatch.from_pydict({"slot": [0, 1, 1], "at": [0, 0, 8], "piece": [b"12345678", b"12345678", b"12345678"]})
+    with pytest.raises(RuntimeError):
+        list(tokens_out._join_rows(16)(iter([pieces])))
+
+
+def test_large_components_stay_whole_and_too_large_ones_raise(spark):
+    rng = np.random.default_rng(3)
+    for size in (3, 1 << 20, 1 << 29, 1 << 33):
+        rows = rng.integers(-size, size, size=(200, 5))
+        rows[7] = rows[9]
+        ids = rng.permutation(1000)[:200].astype(np.int64)
+        block = bitslice.Block(*bitslice.Block.build(ids, rows))
+        for q in rng.integers(-min(size, 1 << 26), min(size, 1 << 26), size=(4, 5)):
+            true = sorted((-sum(int(a) * int(b) for a, b in zip(row, q, strict=True)), int(i)) for row, i in zip(rows, ids, strict=True))[:20]
+            assert sorted((-int(s), int(i)) for i, s in zip(*block.top(q, 20, None), strict=True)) == true
+    make = lambda rows: spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    v = make([(0, [1.0, 0.0]), (1, [1e6, 0.0]), (2, [2e6, 0.0])])
+    got = [(x.vec_id, x.score) for x in bitslice.exact_top_k(v, v.where("vec_id = 0"), 20).orderBy("rank").collect()]
+    assert got == [(2, 8192000000), (1, 4096000000)]
+    with pytest.raises(OverflowError):
+        big = make([(0, [1e9, 0.0]), (1, [1e9, 0.0])])
+        bitslice.exact_top_k(big, big, 1).collect()
+    assert bitslice.exact_top_k(v.limit(0), v, 3).count() == 0
+
+
+def test_forest_recall_with_leaves_of_few_rows(spark):
+    rng = np.random.default_rng(4)
+    centres = rng.normal(size=(30, 16))
+    x = centres[rng.integers(0, 30, 3000)] + 0.3 * rng.normal(size=(3000, 16))
+    df = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, embedding array<double>")
+    got = ann.nearest(df, df.where("vec_id % 20 = 0"), k=10).toPandas().groupby("query_id").vec_id.apply(set)
+    scores = x[::20] @ x.T
+    scores[np.arange(150), np.arange(0, 3000, 20)] = -np.inf
+    true = np.argsort(-scores, axis=1)[:, :10]
+    assert np.mean([len(got[20 * i] & set(t.tolist())) / 10 for i, t in enumerate(true)]) >= 0.9
+
+
+def test_one_of_two_writers_enters_a_batch(spark):
+    one = spark.createDataFrame([(1, "a", "en", "w", 5)], "doc_id long, source string, lang string, tokenizer string, tokens long")
+    ledger = rollup.Ledger(spark, shared_path(spark, "race"))
+    assert ledger.commit("b", rollup.signed_changes(None, one)) and not ledger._enter("b", "/" + "0" * 32)
+    assert ledger.commit("none", rollup.signed_changes(None, one.limit(0)))
+    assert [(x.docs, x.tokens) for x in ledger.totals().collect()] == [(1, 5)]
+
+
+def test_a_very_long_text_goes_through(spark):
+    r = random.Random(5)
+    long = " ".join("".join(r.choice("abcdefgh") for _ in range(6)) for _ in range(400_000))
+    df = docs(spark, [long, long, "short text"], langs=["en"] * 3)
+    assert [(x.n_words, x.n_removed) for x in substring_dedup(df).orderBy("doc_id").collect()] == [(400_000, 0), (400_000, 400_000), (2, 0)]
+    assert [x.component_id for x in simhash.near_duplicate_components(df).orderBy("doc_id").collect()] == [0, 0, 2]
+    assert langid.identify(df).where("lang_pred = 'en'").count() == 3
