@@ -9,28 +9,27 @@ from ..graphs import table
 from .structure import cut, min_label
 
 
-def reads(spark: SparkSession, sf_dir: str, most: int | None = None) -> DataFrame:
-    """Distinct lines of English documents (under ``most`` characters if given), lower-cased, letters a to z only.
+def reads(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Distinct lines of English documents, lower-cased, letters a to z only.
 
     Other languages are left out as their letters are.
     """
     docs = table(spark, sf_dir, "documents").where("lang = 'en'")
-    docs = docs if most is None else docs.where(F.col("n_chars") < most)
     lines = docs.select(F.explode(F.split("text", "\n")).alias("line"))
     return lines.select(F.regexp_replace(F.lower("line"), "[^a-z]", "").alias("read")).distinct()
 
 
-def kmers(read: DataFrame, k: int = 12, offsets: int | None = None) -> DataFrame:
-    """(kmer, next): the k-mers of each read (at its first ``offsets`` offsets if given), each with the one after it."""
-    some = read.where(F.char_length("read") >= k).withColumn("n", F.least(F.char_length("read") - k + 1, F.lit(offsets).cast("int")))
+def kmers(read: DataFrame, k: int = 12) -> DataFrame:
+    """(kmer, next): the k-mers of each read, each with the one after it."""
+    some = read.where(F.char_length("read") >= k).withColumn("n", F.char_length("read") - k + 1)
     at = some.select("read", "n", F.explode(F.sequence(F.lit(1), F.col("n"))).alias("i"))
     piece = lambda i: F.substring(F.col("read"), i, F.lit(k))
     return at.select(piece(F.col("i")).alias("kmer"), F.when(F.col("i") < F.col("n"), piece(F.col("i") + 1)).alias("next"))
 
 
-def debruijn(read: DataFrame, k: int = 12, offsets: int | None = None) -> tuple[DataFrame, DataFrame]:
+def debruijn(read: DataFrame, k: int = 12) -> tuple[DataFrame, DataFrame]:
     """``nodes``(kmer, coverage) and ``edges``(src, dst, coverage) keyed by the k-mers themselves."""
-    at = kmers(read, k, offsets)
+    at = kmers(read, k)
     nodes = at.groupBy("kmer").agg(F.count("*").alias("coverage"))
     edges = at.where("next IS NOT NULL").groupBy(F.col("kmer").alias("src"), F.col("next").alias("dst")).agg(F.count("*").alias("coverage"))
     return nodes, edges

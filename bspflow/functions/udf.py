@@ -23,10 +23,10 @@ def tree_min(v: pd.Series) -> int:
 
 @udtf(returnType="i bigint, kmer string")
 class Kmers:
-    """The substrings of length k at the first ``most`` offsets."""
+    """The substrings of length k of a text."""
 
-    def eval(self, text: str, k: int, most: int) -> Iterator[tuple[int, str]]:
-        for i in range(min(most, len(text or "") - k + 1)):
+    def eval(self, text: str, k: int) -> Iterator[tuple[int, str]]:
+        for i in range(len(text or "") - k + 1):
             yield i, text[i : i + k]
 
 

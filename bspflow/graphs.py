@@ -106,27 +106,15 @@ def _line_holders(spark, d, length: int) -> DataFrame:
 
 
 def copy_links(spark, d, length: int = 40) -> DataFrame:
-    """Each document with the smallest one that has a line of ``length`` characters of it: the components of all copies.
+    """Each document with the smallest one that shares a line of at least ``length`` characters with it.
 
-    A line gives one link a holder, however many hold it.
+    A line gives one link a holder, however many hold it: components are those of all pairs, without the pairs.
     """
     ids = _line_holders(spark, d, length)
     first = ids.groupBy("line").agg(F.min("doc_id").alias("src"))
     return ids.join(first, "line").where("src < doc_id").groupBy("src", F.col("doc_id").alias("dst")).agg(F.count("*").alias("weight"))
 
 
-def copy_pairs(spark, d, low: int = 2, high: int = 50, length: int = 40) -> DataFrame:
-    """Documents that share a line of at least ``length`` characters which 2 to 50 documents have, as in the SQL.
-
-    ``copy_links`` has no such bound.
-    """
-    ids = _line_holders(spark, d, length)
-    counted = ids.groupBy("line").agg(F.count("*").alias("n")).where(F.col("n").between(low, high)).select("line")
-    kept = ids.join(counted, "line")
-    other = kept.select("line", F.col("doc_id").alias("dst"))
-    return kept.join(other, "line").where("doc_id < dst").groupBy(F.col("doc_id").alias("src"), "dst").agg(F.count("*").alias("weight"))
-
-
 def knn_pairs(spark, d, least: float = 0.3) -> DataFrame:
     v = table(spark, d, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e"))
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
@@ -136,7 +124,7 @@ def knn_pairs(spark, d, least: float = 0.3) -> DataFrame:
     return pairs.where(F.col("cos") >= least).select(F.col("vec_id").alias("src"), "dst", F.round(F.col("cos") * 1e6).cast("long").alias("weight"))
 
 
-PAIRS = {"trade": trade_pairs, "cust": cust_pairs, "order": order_pairs, "webbip": webbip_pairs, "copy": copy_pairs, "copy_links": copy_links, "knn": knn_pairs}
+PAIRS = {"trade": trade_pairs, "cust": cust_pairs, "order": order_pairs, "webbip": webbip_pairs, "copy": copy_links, "knn": knn_pairs}
 DIRECTED = {
     "cycle": lambda s, d: cycle_edges(s, d, "l_returnflag = 'R'"),
     "cycle_sparse": lambda s, d: cycle_edges(s, d, "l_quantity >= 50"),
@@ -166,13 +154,13 @@ PAIR_SQL = {
     "cust": "SELECT o_custkey * 4 + 1 AS src, l_partkey * 4 + 2 AS dst, min(l_linenumber)::BIGINT AS weight FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_quantity >= 48 GROUP BY 1, 2",
     "order": "SELECT l_orderkey * 4 AS src, l_partkey * 4 + 2 AS dst, min(l_linenumber)::BIGINT AS weight FROM lineitem WHERE l_quantity >= 49 GROUP BY 1, 2",
     "webbip": f"SELECT DISTINCT page_id AS src, {_H60.format('path')} AS dst, 1::BIGINT AS weight FROM ({_LINKS})",
-    "copy": """SELECT a.doc_id AS src, b.doc_id AS dst, count(*)::BIGINT AS weight FROM k a JOIN k b ON a.line = b.line AND a.doc_id < b.doc_id GROUP BY 1, 2""",
+    "copy": """SELECT low AS src, doc_id AS dst, count(*)::BIGINT AS weight FROM l JOIN k USING (line) WHERE low < doc_id GROUP BY 1, 2""",
     "knn": """SELECT a.vec_id AS src, b.vec_id AS dst, round(1e6 * list_cosine_similarity(a.e, b.e))::BIGINT AS weight
  FROM (SELECT vec_id, label, embedding::DOUBLE[] AS e FROM embeddings) a JOIN (SELECT vec_id, label, embedding::DOUBLE[] AS e FROM embeddings) b
  ON a.label = b.label AND a.vec_id < b.vec_id WHERE list_cosine_similarity(a.e, b.e) >= 0.3""",
 }
 PAIR_SQL["copy"] = f"""WITH l AS (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 40),
- k AS (SELECT * FROM l WHERE line IN (SELECT line FROM l GROUP BY line HAVING count(*) BETWEEN 2 AND 50)) {PAIR_SQL["copy"]}"""
+ k AS (SELECT line, min(doc_id) AS low FROM l GROUP BY line) {PAIR_SQL["copy"]}"""
 EDGE_SQL = {
     "cycle": _CYCLE.format("l_returnflag = 'R'"),
     "cycle_sparse": _CYCLE.format("l_quantity >= 50"),

@@ -294,11 +294,12 @@ def o_str_links(spark, d):
     return page_links(spark, d).withColumn("n", F.char_length("path").cast("long"))
 
 
-@query(f"SELECT a.doc_id AS a, b.doc_id AS b, levenshtein(substr(regexp_replace(a.text, '[^ -~]', '', 'g'), 1, 40), substr(regexp_replace(b.text, '[^ -~]', '', 'g'), 1, 40))::BIGINT AS far FROM ({PAIR_SQL['copy']}) p JOIN documents a ON p.src = a.doc_id JOIN documents b ON p.dst = b.doc_id")
+@query("SELECT a.page_id AS a, b.page_id AS b, levenshtein(a.url, b.url)::BIGINT AS far FROM pages a JOIN pages b ON b.page_id = a.page_id + 1")
 def o_str_distance(spark, d):
-    docs = table(spark, d, "documents").select("doc_id", F.substring(F.regexp_replace("text", "[^ -~]", ""), 1, 40).alias("t"))
-    rows = PAIRS["copy"](spark, d).join(docs.toDF("src", "ta"), "src").join(docs.toDF("dst", "tb"), "dst")
-    return rows.select(F.col("src").alias("a"), F.col("dst").alias("b"), F.levenshtein("ta", "tb").cast("long").alias("far"))
+    """Edits between the addresses of pages with successive numbers."""
+    pages = table(spark, d, "pages")
+    rows = pages.select(F.col("page_id").alias("a"), "url").join(pages.select(F.col("page_id").alias("b"), F.col("url").alias("next"), (F.col("page_id") - 1).alias("a")), "a")
+    return rows.select("a", "b", F.levenshtein("url", "next").cast("long").alias("far"))
 
 
 @query("SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, hour(ts)::BIGINT AS hour, count(*)::BIGINT AS n FROM events GROUP BY 1, 2")
@@ -394,13 +395,13 @@ def o_udaf(spark, d):
     return graph(spark, d, "cust").edges.groupBy(F.col("src").alias("vid")).agg(tree_min("dst").alias("low"))
 
 
-@query("SELECT item_id, i::BIGINT AS i, substr(text, i + 1, 12) AS kmer FROM (SELECT item_id, text, unnest(range(0, least(20, length(text) - 11))) AS i FROM benchmark WHERE length(text) >= 12)")
+@query("SELECT item_id, i::BIGINT AS i, substr(text, i + 1, 12) AS kmer FROM (SELECT item_id, text, unnest(range(0, length(text) - 11)) AS i FROM benchmark WHERE length(text) >= 12)")
 def o_udtf(spark, d):
     from ..functions.udf import register
 
     register(spark)
     table(spark, d, "benchmark").createOrReplaceTempView("bspflow_benchmark")
-    return spark.sql("SELECT item_id, k.i, k.kmer FROM bspflow_benchmark, LATERAL bspflow_kmers(text, 12, 20) AS k")
+    return spark.sql("SELECT item_id, k.i, k.kmer FROM bspflow_benchmark, LATERAL bspflow_kmers(text, 12) AS k")
 
 
 def _approx(spark, d):

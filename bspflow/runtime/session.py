@@ -26,11 +26,13 @@ def scoped(spark: SparkSession, values: dict[str, str]):
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` where the cluster names one; a folder of this session where it does not."""
+    """``spark.checkpoint.dir`` where the cluster names one; on one machine, a folder of this session where it does not."""
     said = spark.conf.get("spark.checkpoint.dir", None)
     sc = spark.sparkContext
     there = sc._jsc.sc().getCheckpointDir()
     if not there.isDefined():
+        if not said and sc.master.split("[")[0] != "local":
+            raise RuntimeError("spark.checkpoint.dir is unset: executors need a folder that all of them see")
         sc.setCheckpointDir(said or tempfile.mkdtemp(prefix="bspflow-"))
         there = sc._jsc.sc().getCheckpointDir()
     return (said or there.get()).rstrip("/")

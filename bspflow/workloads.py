@@ -3,14 +3,13 @@
 from __future__ import annotations
 
 import uuid
-from dataclasses import replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .algos import assembly, structure, vertex
 from .baselines.systems import SYSTEMS, task
-from .graphs import EDGE_SQL, PAIR_SQL, PAIRS, edge_sql, graph, h60, table
+from .graphs import PAIR_SQL, PAIRS, edge_sql, graph, table
 from .model import Graph
 from .operators import relational
 from .operators.rowprogram import RowProgram, run_rows
@@ -139,7 +138,6 @@ _add("w_sssp_session", w_sssp_session, f"""WITH e AS ({edge_sql('session')}), u
  SELECT event_id AS vid, sum(coalesce(weight, 0)) OVER (ORDER BY (SELECT (ts, event_id) FROM events x WHERE x.event_id = c.event_id))::BIGINT AS dist FROM c LEFT JOIN e ON e.src = c.prev""")
 for _g in ("order", "cust", "copy"):
     _add(f"w_cc_{_g}", _labels(_g), label_sql(PAIR_SQL[_g]))
-_add("w_cc_copy_whole", _labels("copy_links"))
 
 
 def w_cc_web(spark, d):
@@ -323,7 +321,6 @@ def _session_merge(spark, d):
 _add("w_merge_reply", _reply_merge, "SELECT min(16 * conv_id + turn) AS head, md5(string_agg(text, ' ' ORDER BY turn)) AS seq_md5, count(*)::BIGINT AS length FROM conversations GROUP BY conv_id")
 _add("w_merge_session", _session_merge, "SELECT arg_min(event_id, (ts, event_id)) AS head, md5(string_agg(event_type, ' ' ORDER BY ts, event_id)) AS seq_md5, count(*)::BIGINT AS length FROM events GROUP BY user_id")
 _add("w_bicc_cust", lambda s, d: structure.biconnected(PAIRS["cust"](s, d))["edges"])
-_ART = """WITH RECURSIVE e AS MATERIALIZED ({e})"""
 _add("w_articulation", lambda s, d: structure.biconnected(PAIRS["cust"](s, d))["articulation"])
 _add("w_bridges", lambda s, d: structure.biconnected(PAIRS["cust"](s, d))["bridges"])
 _add("w_scc_cycle_sparse", lambda s, d: structure.scc(graph(s, d, "cycle_sparse")))
@@ -338,8 +335,8 @@ _add("w_closure_reply", lambda s, d: structure.transitive_closure(EDGES(s, d, "r
 
 # ---------------------------------------------------------------- assembly
 
-_READS = """SELECT DISTINCT regexp_replace(lower(line), '[^a-z]', '', 'g') AS read FROM (SELECT unnest(string_split(text, chr(10))) AS line FROM documents WHERE lang = 'en' AND n_chars < 2000)"""
-_KMERS = f"SELECT substr(read, i, 12) AS kmer FROM (SELECT read, unnest(range(1, least(length(read) - 11, 200) + 1)) AS i FROM ({_READS}) WHERE length(read) >= 12)"
+_READS = """SELECT DISTINCT regexp_replace(lower(line), '[^a-z]', '', 'g') AS read FROM (SELECT unnest(string_split(text, chr(10))) AS line FROM documents WHERE lang = 'en')"""
+_KMERS = f"SELECT substr(read, i, 12) AS kmer FROM (SELECT read, unnest(range(1, length(read) - 10)) AS i FROM ({_READS}) WHERE length(read) >= 12)"
 
 
 def _graph_of_reads(spark, d):
@@ -347,15 +344,8 @@ def _graph_of_reads(spark, d):
     return structure.cut(nodes), structure.cut(edges)
 
 
-def _part_of_reads(spark, d):
-    """What the SQL takes: documents under 2000 characters and 200 offsets of a line; w_*_whole take all."""
-    return assembly.debruijn(assembly.reads(spark, d, 2000), offsets=200)
-
-
-_add("w_debruijn", lambda s, d: _part_of_reads(s, d)[0], f"SELECT kmer, count(*)::BIGINT AS coverage FROM ({_KMERS}) GROUP BY 1")
-_add("w_debruijn_whole", lambda s, d: _graph_of_reads(s, d)[0])
-_add("w_clean_lowcov_whole", lambda s, d: assembly.drop_low_coverage(*_graph_of_reads(s, d))[0])
-_add("w_clean_lowcov", lambda s, d: assembly.drop_low_coverage(*_part_of_reads(s, d))[0], f"SELECT kmer, count(*)::BIGINT AS coverage FROM ({_KMERS}) GROUP BY 1 HAVING count(*) >= 2")
+_add("w_debruijn", lambda s, d: _graph_of_reads(s, d)[0], f"SELECT kmer, count(*)::BIGINT AS coverage FROM ({_KMERS}) GROUP BY 1")
+_add("w_clean_lowcov", lambda s, d: assembly.drop_low_coverage(*_graph_of_reads(s, d))[0], f"SELECT kmer, count(*)::BIGINT AS coverage FROM ({_KMERS}) GROUP BY 1 HAVING count(*) >= 2")
 
 
 def _units(step=None):
@@ -382,25 +372,34 @@ for _j in (Join.FULL, Join.LEFT):
     _add(f"w_join_equiv_sssp_{_j.value}", _dists("cust", False, PlanHints(_j, GroupBy.HASH)), SSSP_CUST)
     _add(f"w_join_equiv_cc_{_j.value}", _labels("order", PlanHints(_j, GroupBy.HASH)), label_sql(PAIR_SQL["order"]))
 for _i, (_gb, _cn) in enumerate(((GroupBy.SORT, Connector.PLAIN), (GroupBy.HASH, Connector.PLAIN), (GroupBy.SORT, Connector.MERGE), (GroupBy.HASH, Connector.MERGE))):
-    _add(f"w_groupby_c{_i + 1}", _ranks("trade", 4, PlanHints(Join.FULL, _gb, _cn)), rank_sql(edge_sql("trade"), 4))
+    _add(f"w_groupby_c{_i + 1}", _ranks("trade", 10, PlanHints(Join.FULL, _gb, _cn)), rank_sql(edge_sql("trade")))
 for _s in Store:
     _add(f"w_store_{_s.value}", _dists("cust", True, PlanHints(Join.LEFT, GroupBy.HASH, store=_s)), dist_sql(edge_sql("cust"), TOP, "weight"))
 
 
-def w_plan16_cc(spark, d):
-    """Components of the order graph under all 16 plans: how many plans give each (vid, label)."""
-    g = graph(spark, d, "order")
-    g = Graph(structure.cut(g.vertices), structure.cut(g.edges))
-    out = None
-    for hints in all_plans():
-        one = vertex.connected_components(g, hints, max_supersteps=4).vertices.select("vid", F.col("value").alias("label"))
-        out = one if out is None else out.union(one)
-    return out.groupBy("vid", "label").agg(F.count("*").alias("plans"))
+def _plan16(algo: str):
+    """A method on the order graph under all 16 plans, each to its end: how many plans give each row."""
+    name = {"pagerank": "rank", "sssp": "dist", "cc": "label"}[algo]
+
+    def f(spark, d):
+        g = graph(spark, d, "order")
+        g = Graph(structure.cut(g.vertices), structure.cut(g.edges))
+        source, out = vertex.highest_degree(g), None
+        for hints in all_plans():
+            if algo == "pagerank":
+                one = vertex.pagerank(g, 5, fixed_point=True, hints=hints).vertices
+            else:
+                one = (vertex.sssp(g, source, hints=hints) if algo == "sssp" else vertex.connected_components(g, hints)).vertices
+            one = one.where("value IS NOT NULL").select("vid", F.col("value").alias(name))
+            out = one if out is None else out.union(one)
+        return out.groupBy("vid", name).agg(F.count("*").alias("plans"))
+
+    return f
 
 
-_add("w_plan16_cc", w_plan16_cc, f"""WITH RECURSIVE e AS MATERIALIZED ({edge_sql('order')}), t(step, vid, label) AS (SELECT 1, src, src FROM e GROUP BY 2 UNION ALL
- SELECT step + 1, vid, min(label) FROM (SELECT step, vid, label FROM t WHERE step < 4 UNION ALL SELECT step, e.dst, label FROM t JOIN e ON e.src = t.vid WHERE step < 4) GROUP BY step, vid)
- SELECT vid, label, 16::BIGINT AS plans FROM t WHERE step = 4""")
+_add("w_plan16_pagerank", _plan16("pagerank"), f"SELECT *, 16::BIGINT AS plans FROM ({rank_sql(edge_sql('order'), 5)})")
+_add("w_plan16_sssp", _plan16("sssp"), dist_sql(edge_sql("order"), TOP, rest="SELECT vid, dist, 16::BIGINT AS plans FROM t"))
+_add("w_plan16_cc", _plan16("cc"), label_sql(PAIR_SQL["order"], "SELECT vid, label, 16::BIGINT AS plans FROM t"))
 
 
 def _superstep_stats(algo: str):
@@ -414,7 +413,11 @@ def _superstep_stats(algo: str):
 
 _add("w_superstep_stats_sssp", _superstep_stats("sssp"), dist_sql(edge_sql("cust"), TOP, rest="""SELECT coalesce(l.dist, m.m)::BIGINT + 1 AS superstep, (SELECT count(DISTINCT src) FROM e)::BIGINT AS vertices, coalesce(l.n, 0)::BIGINT AS senders, coalesce(l.k, 0)::BIGINT AS messages
  FROM (SELECT dist, count(*) AS n, sum((SELECT count(*) FROM e WHERE e.src = t.vid)) AS k FROM t GROUP BY 1) l FULL JOIN (SELECT max(dist) + 1 AS m FROM t) m ON l.dist = m.m"""))
-_add("w_superstep_stats_cc", _superstep_stats("cc"))
+_add("w_superstep_stats_cc", _superstep_stats("cc"), f"""WITH RECURSIVE e AS MATERIALIZED ({edge_sql('cust')}), deg AS MATERIALIZED (SELECT src AS vid, count(*) AS deg FROM e GROUP BY 1),
+ t(step, vid, label, changed) AS (SELECT 1, vid, vid, true FROM deg UNION ALL
+  SELECT step + 1, vid, least(label, m), coalesce(m < label, false) FROM (SELECT t.step, t.vid, t.label, min(u.label) AS m FROM t JOIN e ON e.dst = t.vid LEFT JOIN t u ON u.vid = e.src AND u.changed GROUP BY 1, 2, 3)
+  WHERE (SELECT bool_or(changed) FROM t))
+ SELECT step::BIGINT AS superstep, count(*)::BIGINT AS vertices, count(*) FILTER (changed)::BIGINT AS senders, coalesce(sum(deg) FILTER (changed), 0)::BIGINT AS messages FROM t JOIN deg USING (vid) GROUP BY 1""")
 
 
 def w_gs_aggregates(spark, d):
@@ -461,7 +464,7 @@ def _mutated(kind: str):
         insert = s.select((F.col("vid") + (100_000 if kind == "insert" else 0)).alias("vid"), F.lit("I").alias("op"), new(1).alias("vertex"))
         second = s.select((F.col("vid") + (100_000 if kind == "insert" else 0)).alias("vid"), F.lit("I").alias("op"), new(2).alias("vertex"))
         delete = s.where("value < 10").select("vid", F.lit("D").alias("op"), F.lit(None).cast("struct<value:long>").alias("vertex"))
-        muts = {"insert": insert.union(second), "delete": delete.union(delete), "conflict": delete.union(second.where("value >= 0" if False else "vid % 2 = 0")).union(insert.where("vid % 2 = 0"))}[kind]
+        muts = {"insert": insert.union(second), "delete": delete.union(delete), "conflict": delete.union(second.where("vid % 2 = 0")).union(insert.where("vid % 2 = 0"))}[kind]
         return apply_mutations(s, muts).select("vid", "halt", "value")
 
     return f
@@ -493,6 +496,37 @@ def w_row_program(spark, d):
 _add("w_row_program", w_row_program, f"SELECT src AS vid, sum(dst)::BIGINT AS value, count(*) FILTER (dst < src)::BIGINT AS kept FROM ({edge_sql('copy')}) GROUP BY 1")
 
 
+def _mutating(kind: str):
+    """Suppliers as vertices that ask for mutations in their first superstep: insertions of others, their own deletion, or
+    both on one vertex; what is resolved shows in the second."""
+
+    def compute(v, msgs, gs, out):
+        if gs["superstep"] == 1:
+            v.value = v.edges[0][1]
+            if kind == "insert":
+                out.add_vertex(v.vid + 100_000, v.value + 2)
+                out.add_vertex(v.vid + 100_000, v.value + 1)
+            elif v.value < 10:
+                out.remove_vertex(v.vid)
+            if kind == "conflict" and v.vid % 2 == 0:
+                out.add_vertex(v.vid, v.value + 2)
+                out.add_vertex(v.vid, v.value + 1)
+        out.halt()
+
+    def f(spark, d):
+        edges = table(spark, d, "supplier").selectExpr("s_suppkey AS src", "s_nationkey + 1000000L AS dst", "cast(s_nationkey AS long) AS weight")
+        got = run_rows(Graph.of(edges, complete=False), RowProgram("mutate", "long", "long", compute))
+        return got.select("vid", "value")
+
+    return f
+
+
+_N = "SELECT s_suppkey AS vid, s_nationkey::BIGINT AS value FROM supplier"
+_add("w_mutation_superstep_insert", _mutating("insert"), f"{_N} UNION ALL SELECT s_suppkey + 100000, s_nationkey + 1 FROM supplier")
+_add("w_mutation_superstep_delete", _mutating("delete"), f"{_N} WHERE s_nationkey >= 10")
+_add("w_mutation_superstep_conflict", _mutating("conflict"), "SELECT s_suppkey AS vid, (CASE WHEN s_suppkey % 2 = 0 THEN s_nationkey + 1 ELSE s_nationkey END)::BIGINT AS value FROM supplier WHERE s_suppkey % 2 = 0 OR s_nationkey >= 10")
+
+
 def _chained(pipelined: bool):
     def f(spark, d):
         g = graph(spark, d, "order")
@@ -534,7 +568,7 @@ _add("w_checkpoint_manifest", w_checkpoint_manifest, "SELECT unnest([3, 5])::BIG
 def _baseline(system: str, algo: str):
     def f(spark, d):
         g = graph(spark, d, {"pagerank": "trade", "sssp": "cust", "cc": "order"}[algo])
-        t = task(g, algo, vertex.highest_degree(g) if algo == "sssp" else None, steps=4)
+        t = task(g, algo, vertex.highest_degree(g) if algo == "sssp" else None, steps=10)
         got = SYSTEMS[system](g, t)
         name = {"pagerank": "rank", "sssp": "dist", "cc": "label"}[algo]
         return got.where("value IS NOT NULL").select("vid", F.col("value").alias(name))
@@ -543,10 +577,9 @@ def _baseline(system: str, algo: str):
 
 
 for _system in SYSTEMS:
-    _add(f"b_{_system}_pagerank", _baseline(_system, "pagerank"), rank_sql(edge_sql("trade"), 4))
+    _add(f"b_{_system}_pagerank", _baseline(_system, "pagerank"), rank_sql(edge_sql("trade")))
     _add(f"b_{_system}_sssp", _baseline(_system, "sssp"), SSSP_CUST)
     _add(f"b_{_system}_cc", _baseline(_system, "cc"), label_sql(PAIR_SQL["order"]))
 
 QUERIES |= relational.QUERIES | streams.QUERIES
 SQL |= relational.SQL | streams.SQL
-del replace, h60, EDGE_SQL

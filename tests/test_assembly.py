@@ -38,6 +38,6 @@ def test_long_documents_and_lines_are_read_whole(spark, tmp_path):
     lines = ["".join(r.choice("abcd") for _ in range(n)) for n in (3000, 240, 11, 12)]
     spark.createDataFrame([(1, "\n".join(lines), "en", 3266), (2, lines[1], "en", 240)], "doc_id long, text string, lang string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
     want = Counter(t[i : i + 12] for t in lines for i in range(len(t) - 11))
-    assert {x.kmer: x.coverage for x in QUERIES["w_debruijn_whole"](spark, str(tmp_path)).collect()} == want
+    assert {x.kmer: x.coverage for x in QUERIES["w_debruijn"](spark, str(tmp_path)).collect()} == want
     units = QUERIES["w_merge_debruijn"](spark, str(tmp_path)).collect()
     assert sum(x.coverage for x in units) == sum(want.values())

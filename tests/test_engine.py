@@ -188,7 +188,7 @@ def test_copies_of_any_number_are_one_component(spark, tmp_path):
     line = lambda c: c * 45
     texts = [(n, line("a")) for n in range(10, 70)] + [(5, line("b")), (69, line("b")), (2, line("c")), (3, line("c")), (4, line("d"))]
     spark.createDataFrame(texts, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
-    assert got(QUERIES["w_cc_copy_whole"](spark, str(tmp_path))) == {**{n: 5 for n in [5, *range(10, 70)]}, 2: 2, 3: 2}
+    assert got(QUERIES["w_cc_copy"](spark, str(tmp_path))) == {**{n: 5 for n in [5, *range(10, 70)]}, 2: 2, 3: 2}
 
 
 def test_cliques_and_triangles(spark):
