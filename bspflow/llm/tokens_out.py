@@ -40,6 +40,8 @@ ROUNDS = 4
 BYTE_END = b"\xff"
 #: The byte after every record, and the most bytes of a shard, which is read as one value.
 RECORD_END, MOST_SHARD = "\n", 1 << 30
+#: Words whose piece numbers a worker keeps.
+MOST_KNOWN = 1 << 18
 
 
 class Permutation:
@@ -104,7 +106,8 @@ def _runs_of(text: str, size: int) -> Iterator[str]:
 def piece_tokens(docs: DataFrame, model_file: str, run_chars: int = 1 << 16) -> DataFrame:
     """(doc_id, tokens): the piece numbers of every text as packed 16-bit ids; null texts stay null.
 
-    ``model_file`` is read by the driver; its vocabulary must have at most 65,536 pieces.
+    ``model_file`` is read by the driver; its vocabulary must have at most 65,536 pieces, none of which goes on past a
+    space.  Recurring words are encoded once.
     """
     with open(model_file, "rb") as f:
         model = f.read()
@@ -116,12 +119,29 @@ def piece_tokens(docs: DataFrame, model_file: str, run_chars: int = 1 << 16) ->
         if sp.get_piece_size() > 1 << 16:
             raise ValueError("piece numbers need more than 16 bits")
 
-        def ids(text: str | None) -> bytes | None:
-            return None if text is None else b"".join(np.array(sp.encode(x), "<u2").tobytes() for x in _runs_of(text, run_chars))
+        known: dict[str, bytes] = {}
+
+        def packed(rows: list[list[int]]) -> Iterator[bytes]:
+            flat = np.array([x for row in rows for x in row], "<u2").tobytes()
+            ends = np.cumsum([2 * len(row) for row in rows]).tolist()
+            return (flat[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)) if rows else iter(())
+
+        def ids(text: str | None, words: list[str] | None) -> bytes | None:
+            if text is None:
+                return None
+            return b"".join(map(known.__getitem__, words)) if words else b"".join(packed([sp.encode(x) for x in _runs_of(text, run_chars)]))
 
         for batch in batches:
             for part in text_slices(batch, budget=1 << 20):
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(map(ids, part.column("text").to_pylist()), pa.binary())], names=["doc_id", "tokens"])
+                texts = part.column("text").to_pylist()
+                # no piece goes on past a space: a text whose words stand one space apart is the pieces of its words
+                split = [t.split(" ") if t and "  " not in t and t[0] != " " != t[-1] else None for t in texts]
+                new = list({w for words in split if words for w in words}.difference(known))
+                if len(known) + len(new) > MOST_KNOWN:
+                    known.clear()
+                    new = list({w for words in split if words for w in words})
+                known.update(zip(new, packed(sp.encode(new)), strict=True))
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(map(ids, texts, split), pa.binary())], names=["doc_id", "tokens"])
 
     return plain(docs, "doc_id", "text").mapInArrow(run, "doc_id long, tokens binary")
 
