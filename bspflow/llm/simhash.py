@@ -83,10 +83,12 @@ def fingerprints(texts: list[str | None], shingle: int = SHINGLE, seed: int = SE
 
 
 def _print_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The text of each row becomes its fingerprint; other columns stay."""
     for batch in batches:
         for part in text_slices(batch, budget=1 << 18):
             fp = fingerprints(part.column("text").to_pylist())
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(fp.view(np.int64))], names=["doc_id", "fp"])
+            rest = [n for n in part.schema.names if n != "text"]
+            yield pa.RecordBatch.from_arrays([*[part.column(n) for n in rest], pa.array(fp.view(np.int64))], names=[*rest, "fp"])
 
 
 def _forest(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -272,17 +274,20 @@ def simhash_links(prints: DataFrame, most_bits: int = 4, most: int = 4096) -> Da
     return links.unionByName(found.select("a", "b"))
 
 
-def near_duplicate_components(docs: DataFrame, most_bits: int = 4, most: int = 4096) -> DataFrame:
+def near_duplicate_components(docs: DataFrame, most_bits: int = 4, most: int = 4096, row_key: str | None = None) -> DataFrame:
     """Fingerprint and component of every document.
 
-    Returns doc_id, fp (the fingerprint's bits as a signed long) and component_id (the smallest doc_id reachable
-    over links of at most ``most_bits`` differing bits).
+    Returns doc_id, fp (the fingerprint's bits as a signed long), component_id (the smallest doc_id reachable
+    over links of at most ``most_bits`` differing bits) and component (its smallest fingerprint, which tells components
+    apart whose smallest doc_id is the same or null).  ``row_key`` names a binary column that comes back with its rows.
     """
-    prints = materialize(plain(docs, "doc_id", "text").mapInArrow(_print_rows, "doc_id long, fp long"), "prints")
+    carried = [row_key] if row_key else []
+    kinds = "doc_id long, " + "".join(f"`{c}` binary, " for c in carried) + "fp long"
+    prints = materialize(plain(docs, "doc_id", *carried, "text").mapInArrow(_print_rows, kinds), "prints")
     owners = prints.groupBy("fp").agg(F.min("doc_id").alias("low"))
     links = simhash_links(owners, most_bits, most)
     class_of = components(links)
     named = owners.join(class_of.withColumnRenamed("node", "fp"), "fp", "left").withColumn("component", F.coalesce("component", "fp"))
     lowest = named.groupBy("component").agg(F.min("low").alias("component_id"))
-    told = named.select("fp", "component").join(lowest, "component").select("fp", "component_id")
-    return prints.join(told, "fp").select("doc_id", "fp", "component_id")
+    told = named.select("fp", "component").join(lowest, "component").select("fp", "component_id", "component")
+    return prints.join(told, "fp").select("doc_id", *carried, "fp", "component_id", "component")

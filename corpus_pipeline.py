@@ -31,11 +31,20 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each component of linked fingerprints the smallest doc_id stays; documents without an id stay."""
-    found = near_duplicate_components(docs.select("doc_id", "text"))
-    go = found.where("doc_id <> component_id").select("doc_id").distinct()
-    # the ids to drop grow with the corpus, so they aren't broadcast at any size; texts move once
-    return docs.join(go.hint("merge"), "doc_id", "left_anti").select(*COLUMNS)
+    """Of each component of linked fingerprints one row stays: the smallest doc_id's.
+
+    Rows are told apart by id and text: one that shares its id with a copy stays if its own text is no copy.  Rows that
+    repeat both become one (the least by lang, source, n_chars); of two texts of one id in a component one stays; rows
+    without an id come after all others, so one of them stays only where its component has no id.
+    """
+    told = F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("-")), F.coalesce(F.concat(F.lit(" :"), F.col("text")), F.lit(" ")))
+    keyed = docs.select(*COLUMNS).withColumn("row_key", F.unhex(F.md5(told.cast("binary"))))
+    found = near_duplicate_components(keyed, row_key="row_key")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row_key")).alias("first")
+    stay = found.groupBy("component").agg(first).select("first.row_key")
+    # repeats fold before the texts move; the ids to keep grow with the corpus, so they aren't broadcast at any size
+    rows = keyed.groupBy("row_key").agg(F.min(F.struct("doc_id", "lang", "source", "n_chars", "text")).alias("row")).select("row_key", "row.*")
+    return rows.join(stay.hint("merge"), "row_key", "left_semi").select(*COLUMNS)
 
 
 def redact_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -693,3 +693,18 @@ def test_a_very_long_text_goes_through(spark):
     assert [(x.n_words, x.n_removed) for x in substring_dedup(df).orderBy("doc_id").collect()] == [(400_000, 0), (400_000, 400_000), (2, 0)]
     assert [x.component_id for x in simhash.near_duplicate_components(df).orderBy("doc_id").collect()] == [0, 0, 2]
     assert langid.identify(df).where("lang_pred = 'en'").count() == 3
+
+
+def test_near_copies_leave_one_row_of_each_group(spark):
+    import corpus_pipeline as p
+
+    one, two, three = " ".join(f"a{i}" for i in range(60)), " ".join(f"b{i}" for i in range(60)), " ".join(f"c{i}" for i in range(60))
+    # id 2 is a copy in one row and clean in another; id 3 repeats; texts without an id are copies, and a group of their own
+    rows = [(1, one), (2, one), (2, two), (3, three), (3, three), (None, one), (None, "x y z q w"), (None, "x y z q w"), (9, None), (7, ""), (8, " ")]
+    df = spark.createDataFrame([(i, t, "en", "s", 1, 5) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long, component long")
+    got = p.drop_near_copies(spark, df, "")
+    assert got.columns == list(p.COLUMNS)
+    want = [(1, one), (2, two), (3, three), (7, ""), (None, "x y z q w")]
+    key = lambda x: (x[0] is None, x[0] or 0, x[1])
+    assert sorted(((x.doc_id, x.text) for x in got.collect()), key=key) == sorted(want, key=key)
+    assert p.drop_near_copies(spark, df.limit(0), "").count() == 0
