@@ -249,6 +249,23 @@ def min_label(pairs: DataFrame, nodes: DataFrame, most_rounds: int = 64) -> Data
     raise RuntimeError("labels did not settle")
 
 
+def hash_to_min(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
+    """(vid, label): smallest id of the component.  Each vertex keeps a set of ids, one row each; a round sends the set
+    to its smallest id and the smallest id to the set, until no set changes.
+
+    The smallest vertex of a component ends with a row for each of its members, in rows of their own.
+    """
+    both = pairs.select("src", "dst").union(pairs.select("dst", "src")).union(nodes.select("vid", "vid")).toDF("vid", "near")
+    at = cut(both.distinct())
+    while True:
+        low = at.groupBy("vid").agg(F.min("near").alias("low"))
+        told = at.join(low, "vid").select(F.explode(F.array(F.struct(F.col("low").alias("vid"), "near"), F.struct(F.col("near").alias("vid"), F.col("low").alias("near")))).alias("x"))
+        nxt = cut(told.select("x.*").distinct())
+        if nxt.count() == at.count() and not nxt.join(at, ["vid", "near"], "left_anti").limit(1).count():
+            return nxt.groupBy("vid").agg(F.min("near").alias("label"))
+        at = nxt
+
+
 def biconnected(pairs: DataFrame, hints=None) -> dict[str, DataFrame]:
     """Blocks of an undirected graph: ``edges``(src, dst, block), ``articulation``(vid), ``bridges``(src, dst).
 

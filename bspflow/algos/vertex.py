@@ -68,6 +68,44 @@ def sssp(graph: Graph, source: int, weighted: bool = False, hints: PlanHints = S
     return run(graph, sssp_program(source, weighted), hints, max_supersteps, **more)
 
 
+def sssp_parents(graph: Graph, source: int, weighted: bool = False, hints: PlanHints = SPARSE_PLAN, max_supersteps: int | None = None) -> DataFrame:
+    """(vid, dist, parent): parent is the lowest neighbour on a shortest path; the source's is itself.  Weights are positive."""
+    kind = "struct<dist:long,parent:long>"
+
+    def compute(c: Context) -> Step:
+        mine = F.struct(F.lit(0).cast("long").alias("dist"), F.lit(source).cast("long").alias("parent"))
+        told = F.when(c.vid == source, mine) if c.superstep == 1 else F.when(c.vid != source, c.payload)
+        closer = told.isNotNull() & (c.value.isNull() | (told["dist"] < c.value["dist"]))
+        # an equal distance by a lower neighbour changes the parent alone, which is no news to others
+        better = closer | (told.isNotNull() & (told < c.value))
+        send = F.when(closer, F.struct(told["dist"].alias("dist"), c.vid.alias("parent")))
+        return Step(F.when(better, told).otherwise(c.value), F.lit(True), send)
+
+    def along(s: Column, w: Column) -> Column:
+        return F.struct((s["dist"] + (w if weighted else F.lit(1).cast("long"))).alias("dist"), s["parent"].alias("parent"))
+
+    program = Program("sssp_parents", kind, kind, STRUCT_MIN, lambda: F.lit(None), compute, along)
+    found = run(graph, program, hints, max_supersteps).vertices.where("value IS NOT NULL")
+    return found.select("vid", F.col("value.dist").alias("dist"), F.col("value.parent").alias("parent"))
+
+
+def list_rank_walk(graph: Graph, hints: PlanHints = SPARSE_PLAN) -> DataFrame:
+    """(vid, rank): steps to the end of a list of edges vid -> next, walked one link a superstep from the ends.
+
+    The plain form that pointer jumping is held against: as many supersteps as the longest list has vertices.
+    """
+    back = Graph(graph.vertices, graph.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight"))
+
+    def compute(c: Context) -> Step:
+        if c.superstep == 1:  # whoever hears nothing of a next one is an end
+            return Step(c.value, F.lit(False), F.lit(-1).cast("long"))
+        rank = F.when(c.payload.isNull(), F.lit(0).cast("long")) if c.superstep == 2 else c.payload + 1
+        return Step(F.coalesce(c.value, rank), F.lit(True), rank)
+
+    got = run(back, Program("list_walk", "long", "long", MIN, lambda: F.lit(None), compute), hints).vertices
+    return got.select("vid", F.col("value").alias("rank"))
+
+
 def highest_degree(graph: Graph) -> int:
     """The vertex with most edges, the lowest of several."""
     row = graph.edges.groupBy("src").count().orderBy(F.desc("count"), "src").first()

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ..model import Graph
 from ..plans import combine as combining
 from ..plans.hints import Join, PlanHints, Store
-from ..plans.logical import active_set, create_missing, deliver_full, is_active
+from ..plans.logical import active_set, apply_mutations, create_missing, deliver_full, is_active
 from ..plans.storage import VertexStore
 from ..program import Context, Program, Step
 from .checkpoint import Checkpointer
@@ -98,7 +98,8 @@ def run(graph: Graph, program: Program, hints: PlanHints = PlanHints(), max_supe
                         rows = rows.unionByName(create_missing(current, msg).withColumn("created", F.lit(True)))
                 seen = Observation()
                 logs = hints.store is Store.DELTA_LOG
-                out = pins.pin(_compute(rows, program, gs, join).observe(seen, *_counts(program)))
+                out = _compute(rows, program, gs, join)
+                out = pins.pin(out.observe(seen, *_counts(program, out.columns)))
                 row = seen.get
                 if (join is Join.LEFT or logs) and not all_live:
                     n_vertices = row["vertices"] if join is Join.FULL else n_vertices + row["created"]
@@ -109,15 +110,22 @@ def run(graph: Graph, program: Program, hints: PlanHints = PlanHints(), max_supe
                     store.replace(out.select("vid", "halt", "value", "degree"))
                     live, n_vertices, all_live = None, row["vertices"], False
                 n_live = row["live"]
+                if row["mutated"]:
+                    state = pins.pin(_mutated(store.read(), out.select(F.inline("mut")), topology, program).repartition(parts, "vid").sortWithinPartitions("vid"))
+                    store.replace(state)
+                    live, after = None, state.agg(F.count("*").alias("vertices"), F.count_if(~F.col("halt")).alias("live")).first()
+                    n_vertices, n_live = after.vertices, after.live
                 sent = row["messages"] > 0
                 stats.append({"superstep": gs.superstep, "vertices": n_vertices, "ran": row["ran"], "live": row["live"], "senders": row["senders"], "messages": row["messages"], "received": row["received"], "join": join.value, "seconds": time.time() - began})
                 senders = out.where("send IS NOT NULL").select("vid", "send")
                 raw = topology.join(senders.hint("shuffle_hash"), F.col("vid") == F.col("src")) if join is Join.LEFT else senders.join(topology, F.col("vid") == F.col("src"))
                 raw = raw.select(F.col("dst").alias("vid"), program.edge_payload(F.col("send"), F.col("weight")).cast(program.payload_type).alias("payload"))
+                if "post" in out.columns:
+                    raw = raw.unionByName(out.select(F.inline("post")).select("vid", F.col("payload").cast(program.payload_type).alias("payload")))
                 msg = combining.combine(raw, program.combiner, hints.groupby, hints.connector, parts) if sent else empty
-                n_active = row["live"] + min(row["messages"], n_vertices)
+                n_active = n_live + min(row["messages"], n_vertices)
                 aggregates = {k: row[f"agg_{k}"] for k in program.aggregators}
-                halt = not sent and row["live"] == 0 or program.stop is not None and program.stop(aggregates)
+                halt = not sent and n_live == 0 or program.stop is not None and program.stop(aggregates)
                 gs = gs.next(bool(halt), aggregates)
                 if not store.deltas:
                     pins.drop_before(pins.age)
@@ -154,11 +162,23 @@ def _compute(rows: DataFrame, program: Program, gs: GlobalState, join: Join) ->
         F.when(ran & (F.col("degree") > 0), send).alias("send"),
         *[F.when(ran, step.aggregate.get(k, F.lit(None))).alias(f"c_{k}") for k in program.aggregators],
     ]
+    cols += [F.when(ran, c).alias(name) for name, c in (("post", step.post), ("mut", step.mutate)) if c is not None]
     return rows.select("vid", "degree", ran.alias("ran"), F.col("payload").isNotNull().alias("received"), "created", *cols)
 
 
-def _counts(program: Program) -> list:
+def _mutated(state: DataFrame, mutations: DataFrame, topology: DataFrame, program: Program) -> DataFrame:
+    """All vertices after the mutations; an inserted one has the edges that the topology lists of its id."""
+    asked = mutations.select(F.col("vid").alias("src")).distinct()
+    degree = topology.join(asked, "src", "left_semi").groupBy(F.col("src").alias("vid")).agg(F.count("*").alias("degree"))
+    made = F.struct("vertex.value", F.coalesce("degree", F.lit(0)).cast("long").alias("degree"))
+    known = mutations.join(degree, "vid", "left").select("vid", "op", F.when(F.col("vertex").isNotNull(), made).alias("vertex"))
+    return apply_mutations(state.select("vid", "halt", "value", "degree"), known, program.resolve)
+
+
+def _counts(program: Program, columns: list[str]) -> list:
     told = {"ran": "ran", "live": "NOT halt", "senders": "send IS NOT NULL", "received": "received", "created": "created"}
-    counts = [F.expr("count(*) AS vertices"), F.expr("coalesce(sum(if(send IS NOT NULL, degree, 0L)), 0L) AS messages")]
+    many = {name: f"coalesce(sum(if({name} IS NULL, 0, size({name}))), 0L)" if name in columns else "0L" for name in ("post", "mut")}
+    counts = [F.expr("count(*) AS vertices"), F.expr(f"coalesce(sum(if(send IS NOT NULL, degree, 0L)), 0L) + {many['post']} AS messages")]
+    counts.append(F.expr(f"{many['mut']} + count(*) * 0 AS mutated"))
     counts += [F.expr(f"count_if({c}) AS {k}") for k, c in told.items()]
     return counts + [fold(F.col(f"c_{k}")).alias(f"agg_{k}") for k, fold in program.aggregators.items()]

@@ -16,7 +16,9 @@ from .operators.rowprogram import RowProgram, run_rows
 from .plans.combine import COUNT, LIST, MAX, MIN, SUM
 from .plans.hints import Connector, GroupBy, Join, PlanHints, Store, all_plans
 from .plans.logical import apply_mutations
+from .program import Program, Step, deletion, insertion, letter
 from .runtime.checkpoint import Checkpointer
+from .runtime.loop import run
 from .runtime.pipeline import Job, pipeline, run_recoverable
 from .runtime.session import shared_folder
 from .streaming import streams
@@ -153,14 +155,11 @@ def w_missing_vertex_web(spark, d):
     """What one round of messages along links makes of pages and missing targets: (vid, received, created)."""
     pages = table(spark, d, "pages").select(F.col("page_id").alias("vid"))
     g = Graph.of(graph(spark, d, "web").edges, vertices=pages, complete=False)
-    from .program import Program, Step
 
     def compute(c):
         return Step(F.coalesce(c.payload, F.lit(0)) if c.superstep == 2 else F.lit(None), F.lit(True), F.lit(1).cast("long") if c.superstep == 1 else None)
 
     program = Program("touch", "long", "long", COUNT, lambda: F.lit(None), compute, creates=True)
-    from .runtime.loop import run
-
     got = run(g, program, LEFT, 2).vertices.where("value IS NOT NULL")
     return got.join(pages.withColumn("old", F.lit(True)), "vid", "left").select("vid", F.col("value").alias("received"), F.col("old").isNull().alias("created"))
 
@@ -176,6 +175,17 @@ _add("w_cc_web", w_cc_web_all, label_sql(edge_sql("web")))
 _add("w_cc_sizes", lambda s, d: _labels("order")(s, d).groupBy("label").agg(F.count("*").alias("n")), label_sql(PAIR_SQL["order"], "SELECT label, count(*)::BIGINT AS n FROM t GROUP BY 1"))
 _add("w_cc_pointer_jump", lambda s, d: structure.min_label(PAIRS["order"](s, d), graph(s, d, "order").vertices), label_sql(PAIR_SQL["order"]))
 
+_add("w_cc_hash_to_min", lambda s, d: structure.hash_to_min(PAIRS["order"](s, d), graph(s, d, "order").vertices), label_sql(PAIR_SQL["order"]))
+
+
+def w_sssp_parents(spark, d):
+    g = graph(spark, d, "cust")
+    return vertex.sssp_parents(g, vertex.highest_degree(g), weighted=True)
+
+
+_add("w_sssp_parents", w_sssp_parents, dist_sql(edge_sql("cust"), TOP, "weight", """SELECT t.vid, t.dist, CASE WHEN t.dist = 0 THEN t.vid ELSE min(e.src) END AS parent
+ FROM t LEFT JOIN (SELECT e.src, e.dst, u.dist + weight AS dist FROM e JOIN t u ON u.vid = e.src) e ON e.dst = t.vid AND e.dist = t.dist GROUP BY t.vid, t.dist"""))
+
 
 def w_cc_scaled(spark, d):
     g = structure.scale_up(graph(spark, d, "order"), 4)
@@ -298,6 +308,7 @@ def _listrank(name: str):
 
 _add("w_listrank_session", _listrank("session"), "SELECT event_id AS vid, (row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC) - 1)::BIGINT AS rank FROM events WHERE user_id IN (SELECT user_id FROM events GROUP BY 1 HAVING count(*) > 1)")
 _add("w_listrank_reply", _listrank("reply"), "SELECT 16 * conv_id + turn AS vid, (row_number() OVER (PARTITION BY conv_id ORDER BY turn DESC) - 1)::BIGINT AS rank FROM conversations WHERE conv_id IN (SELECT conv_id FROM conversations GROUP BY 1 HAVING count(*) > 1)")
+_add("w_listrank_walk", lambda s, d: vertex.list_rank_walk(Graph.of(EDGES(s, d, "reply"))), "SELECT 16 * conv_id + turn AS vid, (row_number() OVER (PARTITION BY conv_id ORDER BY turn DESC) - 1)::BIGINT AS rank FROM conversations WHERE conv_id IN (SELECT conv_id FROM conversations GROUP BY 1 HAVING count(*) > 1)")
 _add("w_treeorder_region", lambda s, d: structure.tree_order(_region_tree(s, d), 0), f"""WITH RECURSIVE e AS MATERIALIZED ({_REGION}), t(vid, path, depth) AS (SELECT 0::BIGINT, lpad('0', 12, '0'), 0 UNION ALL
  SELECT e.dst, path || '/' || lpad(e.dst::VARCHAR, 12, '0'), depth + 1 FROM t JOIN e ON e.src = t.vid), s AS (SELECT a.vid, count(*)::BIGINT AS size FROM t a JOIN t b ON b.path = a.path OR starts_with(b.path, a.path || '/') GROUP BY 1),
  o AS (SELECT t.*, size, row_number() OVER (ORDER BY path)::BIGINT AS pre FROM t JOIN s USING (vid))
@@ -527,6 +538,52 @@ _add("w_mutation_superstep_delete", _mutating("delete"), f"{_N} WHERE s_nationke
 _add("w_mutation_superstep_conflict", _mutating("conflict"), "SELECT s_suppkey AS vid, (CASE WHEN s_suppkey % 2 = 0 THEN s_nationkey + 1 ELSE s_nationkey END)::BIGINT AS value FROM supplier WHERE s_suppkey % 2 = 0 OR s_nationkey >= 10")
 
 
+def _mutating_columns(kind: str, join: Join):
+    """The same mutations from a column program, under either join."""
+
+    def compute(c):
+        if c.superstep > 1:
+            return Step(c.value, F.lit(True))
+        away = F.when(c.value < 10, F.array(deletion(c.vid, "long"))).otherwise(F.array().cast("array<struct<vid:long,op:string,vertex:struct<value:long>>>"))
+        made = [F.array(*[insertion(c.vid + shift, c.value + k) for k in (2, 1)]) for shift in (0, 100_000)]
+        asks = {"insert": made[1], "delete": away, "conflict": F.concat(away, F.when(c.vid % 2 == 0, made[0]).otherwise(F.slice(made[0], 1, 0)))}
+        return Step(c.value, F.lit(True), mutate=asks[kind])
+
+    def f(spark, d):
+        vertices = table(spark, d, "supplier").selectExpr("s_suppkey AS vid", "cast(s_nationkey AS long) AS nation")
+        edges = vertices.selectExpr("vid AS src", "vid AS dst", "1L AS weight")
+        program = Program("mutate_columns", "long", "long", COUNT, lambda: F.col("nation"), compute)
+        return run(Graph(vertices, edges), program, PlanHints(join, GroupBy.HASH, store=Store.DELTA_LOG)).vertices.select("vid", "value")
+
+    return f
+
+
+for _kind in ("insert", "delete", "conflict"):
+    for _j in (Join.FULL, Join.LEFT):
+        _add(f"w_mutation_columns_{_kind}_{_j.value}", _mutating_columns(_kind, _j), SQL[f"w_mutation_superstep_{_kind}"])
+
+
+def _posting(creates: bool, hints: PlanHints):
+    """Customers and parts write to the vertex of half their id, to which no edge need lead: (vid, received)."""
+
+    def compute(c):
+        if c.superstep == 1:
+            return Step(F.lit(None), F.lit(True), post=F.array(letter(F.floor(c.vid / 2), F.lit(1).cast("long"))))
+        return Step(c.payload, F.lit(True))
+
+    def f(spark, d):
+        program = Program("post", "long", "long", SUM, lambda: F.lit(None), compute, creates=creates)
+        got = run(graph(spark, d, "cust"), program, hints).vertices
+        return got.where("value IS NOT NULL").select("vid", F.col("value").alias("received"))
+
+    return f
+
+
+_POSTED = f"WITH v AS (SELECT DISTINCT src AS vid FROM ({edge_sql('cust')})) SELECT vid // 2 AS vid, count(*)::BIGINT AS received FROM v GROUP BY 1"
+_add("w_send_any_vertex", _posting(False, LEFT), f"SELECT * FROM ({_POSTED}) WHERE vid IN (SELECT src FROM ({edge_sql('cust')}))")
+_add("w_send_any_vertex_creates", _posting(True, HASH), _POSTED)
+
+
 def _chained(pipelined: bool):
     def f(spark, d):
         g = graph(spark, d, "order")
@@ -553,8 +610,6 @@ _add("w_recover_cc", w_recover_cc, label_sql(PAIR_SQL["order"]))
 def w_checkpoint_manifest(spark, d):
     path = f"{shared_folder(spark)}/manifest-{uuid.uuid4().hex}"
     keeper = Checkpointer(spark, path)
-    from .runtime.loop import run
-
     run(graph(spark, d, "order"), vertex.components_program(), HASH, max_supersteps=5, checkpoint=keeper, checkpoint_when=2)
     return spark.createDataFrame([(s,) for s in keeper.complete()], "superstep long")
 
