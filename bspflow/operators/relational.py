@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import uuid
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -404,6 +406,83 @@ def o_udtf(spark, d):
     return spark.sql("SELECT item_id, k.i, k.kmer FROM bspflow_benchmark, LATERAL bspflow_kmers(text, 12) AS k")
 
 
+@query("SELECT item_id, i::BIGINT AS i, substr(text, i + 1, 12) AS kmer FROM (SELECT item_id, text, unnest(range(0, length(text) - 11)) AS i FROM benchmark WHERE length(text) >= 12)")
+def o_str_kmers(spark, d):
+    """What ``o_udtf`` gives, of built-in functions."""
+    at = F.posexplode(F.transform(F.sequence(F.lit(1), F.char_length("text") - 11), lambda i: F.substr(F.col("text"), i, F.lit(12))))
+    return table(spark, d, "benchmark").where("char_length(text) >= 12").select("item_id", at.alias("i", "kmer")).withColumn("i", F.col("i").cast("long"))
+
+
+@query(f"SELECT src, dst, CASE WHEN (src % 97, src) < (dst % 97, dst) THEN src ELSE dst END AS winner FROM {_CUST}")
+def o_udf(spark, d):
+    from ..functions.udf import tie_break
+
+    return PAIRS["cust"](spark, d).select("src", "dst", tie_break("src", "dst").alias("winner"))
+
+
+@query("SELECT page_id, lower(regexp_replace(url, '^https?://', '')) AS url FROM pages")
+def o_udf_arrow(spark, d):
+    from ..functions.udf import canonical_url_arrow
+
+    return table(spark, d, "pages").select("page_id", canonical_url_arrow("url").alias("url"))
+
+
+@query(f"SELECT src, dst, weight FROM ({edge_sql('cust')})")
+def o_udtf_neighbors(spark, d):
+    from ..functions.udf import register
+
+    register(spark)
+    near = F.collect_list(F.struct("dst", F.col("weight").alias("value"))).alias("edges")
+    graph(spark, d, "cust").edges.groupBy("src").agg(near).createOrReplaceTempView("bspflow_nested")
+    return spark.sql("SELECT src, n.dst, n.weight FROM bspflow_nested, LATERAL bspflow_neighbors(edges) AS n")
+
+
+@query(f"SELECT src, dst, weight * 2 AS twice FROM {_CUST} WHERE (src + dst) % 3 = 0")
+def o_map_in_arrow(spark, d):
+    """A filter and a column over whole Arrow batches; rows keep no partitioning."""
+
+    def run(batches):
+        for b in batches:
+            total = pa.array(pc.add(b["src"], b["dst"]).to_numpy(zero_copy_only=False) % 3)
+            kept = b.filter(pc.equal(total, 0))
+            yield pa.RecordBatch.from_arrays([kept["src"], kept["dst"], pc.multiply(kept["weight"], 2)], names=["src", "dst", "twice"])
+
+    return PAIRS["cust"](spark, d).select("src", "dst", "weight").mapInArrow(run, "src long, dst long, twice long")
+
+
+@query("""SELECT user_id, count(*)::BIGINT AS kinds, arg_min(event_type, (-n, event_type)) AS most FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2) GROUP BY 1""")
+def o_apply_in_arrow(spark, d):
+    """Per user the commonest kind of event; counts fold first, so that a group has a row a kind, however busy its user."""
+
+    def run(key, group):
+        top = group.sort_by([("n", "descending"), ("event_type", "ascending")])
+        return pa.table({"user_id": [key[0].as_py()], "kinds": [group.num_rows], "most": [top["event_type"][0].as_py()]}, schema=pa.schema([("user_id", pa.int64()), ("kinds", pa.int64()), ("most", pa.string())]))
+
+    each = table(spark, d, "events").groupBy(F.col("user_id").cast("long").alias("user_id"), "event_type").agg(_n().alias("n"))
+    return each.groupBy("user_id").applyInArrow(run, "user_id long, kinds long, most string")
+
+
+@query(f"SELECT coalesce(s_suppkey, k)::BIGINT AS vid, s_suppkey IS NOT NULL AS known, coalesce(n, 0)::BIGINT AS n FROM (SELECT * FROM supplier WHERE s_suppkey % 2 = 0) FULL JOIN {_MSG} ON s_suppkey = k")
+def o_cogroup(spark, d):
+    """Delivery as a cogroup: vertices on one side, folded messages on the other, at most a row each a key."""
+
+    def run(key, vertices, messages):
+        n = messages["n"][0].as_py() if messages.num_rows else 0
+        return pa.table({"vid": pa.array([key[0].as_py()], pa.int64()), "known": [vertices.num_rows > 0], "n": pa.array([n], pa.int64())})
+
+    vertices = _suppliers(spark, d).where("s_suppkey % 2 = 0").select(F.col("s_suppkey").cast("long").alias("vid"))
+    messages = _msgs(spark, d).select(F.col("k").cast("long").alias("vid"), "n")
+    return vertices.groupBy("vid").cogroup(messages.groupBy("vid")).applyInArrow(run, "vid long, known boolean, n long")
+
+
+@query(f"SELECT vid, degree, total FROM {_DEG} JOIN (SELECT src, sum(weight)::BIGINT AS total FROM ({edge_sql('cust')}) GROUP BY 1) ON src = vid")
+def o_sink_bucketed(spark, d):
+    """Vertices and edges as catalog tables bucketed by id: read back, they meet without an exchange."""
+    vertices = bucketed(_degree(spark, d), 8, "vid")
+    edges = bucketed(graph(spark, d, "cust").edges.withColumnRenamed("src", "vid"), 8, "vid")
+    return vertices.join(edges.groupBy("vid").agg(F.sum("weight").alias("total")), "vid")
+
+
 def _approx(spark, d):
     """Approximate distinct suppliers of each part; no SQL engine has the same sketch."""
     return table(spark, d, "lineitem").groupBy("l_partkey").agg(F.approx_count_distinct("l_suppkey", 0.02).alias("n"))
@@ -412,10 +491,15 @@ def _approx(spark, d):
 QUERIES["o_agg_approx"] = _approx
 
 
-def bucketed(df: DataFrame, name: str, buckets: int, key: str) -> DataFrame:
-    """A catalog table bucketed and sorted by ``key``, for joins without an exchange."""
-    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(name)
-    return df.sparkSession.table(name)
+def bucketed(df: DataFrame, buckets: int, key: str, name: str | None = None) -> DataFrame:
+    """A catalog table bucketed and sorted by ``key``, for joins without an exchange; its files are in the shared folder.
+
+    Rows are dealt by ``key`` first: each task then writes its own buckets, instead of a file a bucket from every task.
+    """
+    spark, name = df.sparkSession, name or f"bspflow_{uuid.uuid4().hex}"
+    dealt = df.repartition(buckets, key).write.bucketBy(buckets, key).sortBy(key)
+    dealt.option("path", f"{shared_folder(spark)}/{name}").saveAsTable(name)
+    return spark.table(name)
 
 
 def views(spark: SparkSession, sf_dir: str, names: list[str]) -> None:

@@ -7,8 +7,10 @@ from __future__ import annotations
 
 import uuid
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 from ..algos.structure import min_label
 from ..graphs import PAIR_SQL, PAIRS, table
@@ -65,6 +67,44 @@ def s_stream_static(spark, d):
     return replay(rows, "append")
 
 
+def o_join_interval_stream(spark, d):
+    """Two streams joined within an hour: watermarks and the bound on time let both sides forget."""
+    both = source(spark, d).select("event_id", "user_id", "event_type", "ts")
+    bought = both.where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("buyer"), F.col("ts").alias("at")).withWatermark("at", "1 hour")
+    seen = both.select(F.col("event_id").alias("event"), "user_id", "ts").withWatermark("ts", "1 hour")
+    rows = bought.join(seen, F.expr("buyer = user_id AND ts > at AND ts <= at + INTERVAL 1 HOUR"))
+    return replay(rows.select("purchase", "event"), "append")
+
+
+def s_late(spark, d):
+    """Events that come too late, by kind: odd ids arrive first, even ones after, and the watermark is an hour.
+
+    The stream keeps what is in time; late rows are those that it has dropped.
+    """
+    root = f"{shared_folder(spark)}/late-{uuid.uuid4().hex}"
+    events = table(spark, d, "events").select("event_id", "event_type", F.col("ts").cast("timestamp").alias("ts"))
+    for turn in (1, 0):  # two runs of one query: the second goes on with the first one's watermark
+        events.where(F.col("event_id") % 2 == turn).write.mode("append").parquet(f"{root}/in")
+        stream = spark.readStream.schema(events.schema).parquet(f"{root}/in").withWatermark("ts", "1 hour")
+        writer = stream.dropDuplicates(["event_id", "ts"]).writeStream.outputMode("append").trigger(availableNow=True).format("parquet").option("path", f"{root}/kept")
+        writer.option("checkpointLocation", f"{root}/log").start().awaitTermination()
+    kept = spark.read.schema(events.schema).parquet(f"{root}/kept")
+    return events.join(kept, "event_id", "left_anti").groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+def s_stateful_degree(spark, d):
+    """Running number of events of each user, kept as state: a row a user and micro-batch."""
+
+    def count(key, batches, state):
+        n = (state.get[0] if state.exists else 0) + sum(len(b) for b in batches)
+        state.update((n,))
+        yield pd.DataFrame({"user_id": [key[0]], "degree": [n]})
+
+    rows = source(spark, d).select(F.col("user_id").cast("long").alias("user_id"))
+    kept = rows.groupBy("user_id").applyInPandasWithState(count, "user_id long, degree long", "n long", "append", GroupStateTimeout.NoTimeout)
+    return replay(kept, "append").groupBy("user_id").agg(F.max("degree").alias("degree"))
+
+
 def s_incremental_cc(spark, d):
     """Micro-batches of new links merge the labels kept so far: a batch links labels, and labels follow."""
     root, made = f"{shared_folder(spark)}/cc-{uuid.uuid4().hex}", {"n": 0}
@@ -86,7 +126,7 @@ def s_incremental_cc(spark, d):
     return spark.read.parquet(f"{root}/labels/{made['n']}").select("vid", "label")
 
 
-QUERIES = {f.__name__: f for f in (s_tumbling, s_sliding, s_session, s_dedup, s_stream_static, s_incremental_cc)}
+QUERIES = {f.__name__: f for f in (s_tumbling, s_sliding, s_session, s_dedup, s_late, s_stream_static, s_stateful_degree, o_join_interval_stream, s_incremental_cc)}
 SQL = {
     "s_tumbling": "SELECT epoch_us(time_bucket(INTERVAL 1 HOUR, ts)) AS start_us, event_type, count(*)::BIGINT AS n FROM events GROUP BY 1, 2",
     "s_sliding": """SELECT epoch_us(time_bucket(INTERVAL 15 MINUTE, ts)) - k * 900000000 AS start_us, event_type, count(*)::BIGINT AS n
@@ -94,6 +134,11 @@ SQL = {
     "s_session": """WITH g AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events),
  k AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS s FROM g) SELECT epoch_us(min(ts)) AS start_us, user_id, count(*)::BIGINT AS n FROM k GROUP BY user_id, s""",
     "s_dedup": "SELECT event_id, user_id FROM events",
+    "s_late": """SELECT event_type, count(*)::BIGINT AS n FROM events WHERE event_id % 2 = 0
+ AND ts <= (SELECT date_trunc('millisecond', max(ts)) - INTERVAL 1 HOUR FROM events WHERE event_id % 2 = 1) GROUP BY 1""",
+    "s_stateful_degree": "SELECT user_id::BIGINT AS user_id, count(*)::BIGINT AS degree FROM events GROUP BY 1",
+    "o_join_interval_stream": """SELECT p.event_id AS purchase, e.event_id AS event FROM events p JOIN events e ON p.user_id = e.user_id
+ AND p.event_type = 'purchase' AND e.ts > p.ts AND e.ts <= p.ts + INTERVAL 1 HOUR""",
     "s_stream_static": "SELECT event_id, user_id, degree FROM events JOIN (SELECT user_id, count(*)::BIGINT AS degree FROM events GROUP BY 1) USING (user_id) WHERE event_type = 'error'",
     "s_incremental_cc": f"""WITH RECURSIVE p AS ({PAIR_SQL['order']}), e AS MATERIALIZED (SELECT src, dst FROM p UNION SELECT dst, src FROM p),
  t(vid, label) USING KEY (vid) AS (SELECT src, src FROM e GROUP BY 1 UNION SELECT x.vid, x.label FROM (SELECT e.dst AS vid, min(t.label) AS label FROM t JOIN e ON e.src = t.vid GROUP BY e.dst) x

@@ -9,7 +9,8 @@ import pytest
 
 import __spark_entry__ as entry_module
 
-SAMPLE = ["w_pagerank_web", "w_cc_copy", "w_missing_vertex_web", "w_euler_region", "w_closure_reply", "w_mutation_conflict", "o_join_asof", "o_cube", "o_topk_group", "o_udtf", "s_session"]
+SAMPLE = ["w_pagerank_web", "w_cc_copy", "w_missing_vertex_web", "w_euler_region", "w_closure_reply", "w_mutation_conflict", "o_join_asof", "o_cube", "o_topk_group", "o_udtf", "s_session",
+          "w_mutation_columns_conflict_left", "w_send_any_vertex_creates", "w_sssp_parents", "w_cc_hash_to_min", "o_apply_in_arrow", "o_sink_bucketed", "s_late"]
 
 
 def rows(frame):
