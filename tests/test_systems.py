@@ -10,4 +10,5 @@ def test_size_estimates_of_triplets_do_not_grow_with_the_steps(spark):
     g = Graph.of(edges, symmetric=True)
     got = SYSTEMS["triplet"](g, task(g, "sssp", 0))
     assert {(r.vid, r.value) for r in got.collect()} == {(v, v) for v in range(n + 1)}
-    assert got._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().bitLength() < 500
+    size = str(got._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    assert len(size) < 150  # digits: they doubled with each step
