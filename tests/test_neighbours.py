@@ -22,3 +22,38 @@ def test_triangles_of_many_colours(spark):
     want = {t for t in combinations(range(40), 3) if all(p in pairs for p in combinations(t, 2))}
     got = structure.triangles(spark.createDataFrame(sorted(pairs), "src long, dst long"), edges_a_group=10).collect()
     assert len(got) == len(want) and {tuple(sorted(x)) for x in got} == want
+
+
+def _recommended(pairs, k):
+    near = {}
+    for a, b in pairs:
+        near.setdefault(a, set()).add(b)
+        near.setdefault(b, set()).add(a)
+    out = set()
+    for v in near:
+        found = sorted((-len(near[v] & near[c]), c) for c in near if c != v and c not in near[v] and near[v] & near[c])
+        out |= {(v, c, -n, i + 1) for i, (n, c) in enumerate(found[:k])}
+    return out
+
+
+def test_recommendations_equal_those_of_all_pairs(spark):
+    r = random.Random(8)
+    hubs = [(h, v) for h in range(4) for v in range(10, 60) if r.random() < 0.6]
+    few = [(r.randrange(10, 60), r.randrange(60, 75)) for _ in range(60)] + [(0, 1), (10, 11), (100, 101)]
+    pairs = sorted({*hubs, *few})
+    got = structure.recommend(spark.createDataFrame(pairs, "src long, dst long")).collect()
+    assert {tuple(x) for x in got} == _recommended(pairs, 3) and len(got) == len(_recommended(pairs, 3))
+
+
+def test_recommendations_around_a_hub_do_not_pair_all_its_neighbours(spark, monkeypatch):
+    n, most, plain = 400, [], structure.cut
+
+    def cut(df):
+        out = plain(df)
+        most.append(out.count())
+        return out
+
+    monkeypatch.setattr(structure, "cut", cut)
+    pairs = [(0, v) for v in range(1, n)] + [(v, v + n) for v in range(1, n)]  # no two of the hub's neighbours are alike
+    got = structure.recommend(spark.createDataFrame(pairs, "src long, dst long"))
+    assert got.where("vid = 399").count() == 3 and len(most) > 1 and max(most) < 10 * n
