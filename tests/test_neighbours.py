@@ -57,3 +57,12 @@ def test_recommendations_around_a_hub_do_not_pair_all_its_neighbours(spark, monk
     pairs = [(0, v) for v in range(1, n)] + [(v, v + n) for v in range(1, n)]  # no two of the hub's neighbours are alike
     got = structure.recommend(spark.createDataFrame(pairs, "src long, dst long"))
     assert got.where("vid = 399").count() == 3 and len(most) > 1 and max(most) < 10 * n
+
+
+def test_cliques_need_no_pairs_of_a_hubs_neighbours(spark):
+    n = 60
+    pairs = spark.createDataFrame([(0, v) for v in range(1, n)] + [(1, 2), (2, 3), (1, 3)], "src long, dst long")
+    found = structure.maximal_cliques(pairs)
+    assert {tuple(map(int, r.members.split(","))) for r in found.collect()} == {(0, 1, 2, 3)} | {(0, v) for v in range(4, n)}
+    # links among neighbours come of triangles: no join of a vertex's edges with each other
+    assert "FlatMapGroupsInArrow" in found._jdf.queryExecution().optimizedPlan().toString()
