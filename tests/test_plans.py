@@ -1,6 +1,7 @@
 """Plans that run side by side: settings stay in their session."""
 
 from bspflow.runtime.session import fresh_session, settings
+from bspflow.workloads import QUERIES
 
 
 def test_a_fresh_session_has_the_settings_and_keeps_its_own(spark):
@@ -9,3 +10,10 @@ def test_a_fresh_session_has_the_settings_and_keeps_its_own(spark):
         assert own.conf.get("spark.sql.shuffle.partitions") == "7"
         own.conf.set("spark.sql.shuffle.partitions", "3")
         assert spark.conf.get("spark.sql.shuffle.partitions") == "7"
+
+
+def test_all_plans_give_the_same_components(spark, tmp_path):
+    rows = [(o, p, n, 50.0) for n, (o, p) in enumerate([(1, 1), (1, 2), (2, 2), (3, 9)], 1)]
+    spark.createDataFrame(rows, "l_orderkey long, l_partkey long, l_linenumber int, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = {(r.vid, r.label, r.plans) for r in QUERIES["w_plan16_cc"](spark, str(tmp_path)).collect()}
+    assert got == {(v, 4, 16) for v in (4, 6, 8, 10)} | {(v, 12, 16) for v in (12, 38)}
