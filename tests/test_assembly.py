@@ -41,3 +41,32 @@ def test_long_documents_and_lines_are_read_whole(spark, tmp_path):
     assert {x.kmer: x.coverage for x in QUERIES["w_debruijn"](spark, str(tmp_path)).collect()} == want
     units = QUERIES["w_merge_debruijn"](spark, str(tmp_path)).collect()
     assert sum(x.coverage for x in units) == sum(want.values())
+
+
+def _some_reads():
+    """Reads that branch, end inside paths, go round in cycles and hold runs of one letter, one much longer than a chunk."""
+    import random
+
+    r = random.Random(7)
+    genome = "".join(r.choice("abcd") for _ in range(1500))
+    rows = [genome[i : i + r.randrange(5, 90)] for i in (r.randrange(1400) for _ in range(120))] + [genome[200:1300]]
+    rows += ["".join(c if r.random() > 0.03 else r.choice("abcd") for c in x) for x in rows[:60]]
+    return sorted({*rows, "xyzw" * 6 + "xyzwx", "zwxyzwxyzw", "mmmmmmmmm", "mmmmmmmmn", "uvuvuvuvuv", "pqrstuv", "short"})
+
+
+def test_units_of_reads_in_small_chunks_equal_those_of_the_k_mer_tables(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from bspflow.algos import compact
+
+    monkeypatch.setattr(compact, "CHUNK", 400)
+    monkeypatch.setattr(compact, "PART", 800)
+    read, k = reads(spark, *_some_reads()), 7
+    units, links = assembly.unitigs(*assembly.debruijn(read, k))
+    got, met = assembly.read_units(read, k)
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    assert rows(got.select(F.substring("seq", 1, k), "seq", "coverage", "n")) == rows(units.select("head", "seq", "coverage", "n"))
+    name = lambda df, c: df.join(got.select(F.col("head").alias(c), F.substring("seq", 1, k).alias(f"{c}_name")), c)
+    assert rows(name(name(met, "src"), "dst").select("src_name", "dst_name")) == rows(links)
+    for step in (lambda u, l: assembly.remove_tips(u, l, k), assembly.pop_bubbles, lambda u, l: assembly.remove_bridges(u, l, 9, 12)):
+        assert {x.seq for x in step(got, met).collect()} == {x.seq for x in step(units, links).collect()}
