@@ -70,3 +70,14 @@ def test_units_of_reads_in_small_chunks_equal_those_of_the_k_mer_tables(spark, m
     assert rows(name(name(met, "src"), "dst").select("src_name", "dst_name")) == rows(links)
     for step in (lambda u, l: assembly.remove_tips(u, l, k), assembly.pop_bubbles, lambda u, l: assembly.remove_bridges(u, l, 9, 12)):
         assert {x.seq for x in step(got, met).collect()} == {x.seq for x in step(units, links).collect()}
+
+
+def test_small_components_without_a_row_for_each_link(spark, monkeypatch):
+    from bspflow.algos import compact
+
+    monkeypatch.setattr(compact, "CHUNK", 400)
+    monkeypatch.setattr(compact, "PART", 800)
+    read = reads(spark, *_some_reads())
+    for least in (3, 8, 30):
+        want = assembly.drop_small_components(*assembly.debruijn(read, 7), least)
+        assert sorted(map(tuple, compact.big_components(read, 7, least).collect())) == sorted(map(tuple, want.collect()))
