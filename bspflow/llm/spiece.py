@@ -219,16 +219,24 @@ class Lattice:
             flat[flat < 0] = np.frombuffer(b"".join(coded), np.uint8).astype(np.int64) + (pieces.bytes_first or 0)
         self.many, self.flat, self.at = many, flat, np.cumsum(many) - many
         self.plain = not len(raw)
+        self.room: dict[str, np.ndarray] = {}
         if base is not None:
             self._follow(base)
 
     def _follow(self, base: Lattice) -> None:
-        """Number places and edges on from those of ``base``."""
+        """Number places and edges on from those of ``base``; the next lattice after the same base takes this one's room."""
         places, edges = len(base.group) - 1, len(base.start)
         self.first, self.start, self.at, self.group = self.first + places, self.start + places, self.at + len(base.flat), self.group[1:] + edges
+        # the base stays in front of room that every slice writes its own into, so it is not copied for each
         for name in ("lengths", "first", "start", "length", "log_p", "upto", "log_other", "ends_here", "many", "flat", "at", "group"):
-            both = (getattr(base, name), getattr(self, name))
-            setattr(self, name, np.concatenate(both).astype(both[0].dtype, copy=False))
+            held, own = getattr(base, name), getattr(self, name)
+            a, b = len(held), len(held) + len(own)
+            room = base.room.get(name)
+            if room is None or len(room) < b:
+                room = base.room[name] = np.empty(b + b // 4, held.dtype)
+                room[:a] = held
+            room[a:b] = own
+            setattr(self, name, room[:b])
         self.plain = self.plain and base.plain
 
     def walk(self, occurrence: np.ndarray, place: np.ndarray, draw) -> tuple[np.ndarray, np.ndarray]:

@@ -708,3 +708,23 @@ def test_near_copies_leave_one_row_of_each_group(spark):
     key = lambda x: (x[0] is None, x[0] or 0, x[1])
     assert sorted(((x.doc_id, x.text) for x in got.collect()), key=key) == sorted(want, key=key)
     assert p.drop_near_copies(spark, df.limit(0), "").count() == 0
+
+
+def test_spiece_slices_share_the_room_after_kept_words():
+    import numpy as np
+
+    from bspflow.llm import spiece
+    from bspflow.llm.queries import piece_model
+
+    with open(piece_model(), "rb") as f:
+        pieces = spiece.Pieces(f.read())
+    texts = [["the cat and the dog", "a house"], ["the dog sat on the café 世", "and the cat and another cat"], ["the end"]]
+    kept = spiece.Kept(pieces, [t for part in texts for t in part])
+    one, two = (spiece.Lattice(pieces, [f" {w}"], kept.lattice) for w in ("another", "sat"))
+    assert np.shares_memory(one.log_p, two.log_p)
+    for n, part in enumerate(texts):
+        got = spiece.sample_batch(pieces, [n] * len(part), part, 2, 11, kept)
+        alone = spiece.sample_batch(pieces, [n] * len(part), part, 2, 11)
+        for a, b in zip(got, alone, strict=True):
+            assert [x[0].tolist() for x in a] == [x[0].tolist() for x in b]
+            assert np.allclose([x[1:] for x in a], [x[1:] for x in b])
