@@ -43,6 +43,14 @@ def test_long_documents_and_lines_are_read_whole(spark, tmp_path):
     assert sum(x.coverage for x in units) == sum(want.values())
 
 
+def _restrict(units, nodes, edges, k):
+    from pyspark.sql import functions as F
+
+    inside = units.select(F.explode(F.transform(F.sequence(F.lit(1), F.char_length("seq") - k + 1), lambda i: F.substring(F.col("seq"), i, F.lit(k)))).alias("kmer")).distinct()
+    names = inside.select("kmer")
+    return nodes.join(inside, "kmer", "left_semi"), edges.join(names.toDF("src"), "src", "left_semi").join(names.toDF("dst"), "dst", "left_semi")
+
+
 def _some_reads():
     """Reads that branch, end inside paths, go round in cycles and hold runs of one letter, one much longer than a chunk."""
     import random
@@ -72,6 +80,18 @@ def test_units_of_reads_in_small_chunks_equal_those_of_the_k_mer_tables(spark, m
         assert {x.seq for x in step(got, met).collect()} == {x.seq for x in step(units, links).collect()}
 
 
+def test_chains_and_cycles_get_one_label_each_in_one_task_and_in_rounds(spark, monkeypatch):
+    from bspflow.algos import compact
+
+    links = [(5, 3), (3, 9), (9, 1), (20, 21), (21, 22), (22, 20), (40, 40)]
+    soft = spark.createDataFrame(links, "src long, dst long")
+    pieces = spark.createDataFrame([(v, f"{v:02d}", 1, 1) for v in (5, 3, 9, 1, 20, 21, 22, 40, 7)], "head long, seq string, coverage long, n long")
+    for few in (0, 100):
+        monkeypatch.setattr(compact, "FEW", few)
+        whole, glued = compact.glue(pieces, soft, 1)
+        assert [r.head for r in whole.collect()] == [7] and sorted(r.n for r in glued.collect()) == [1, 3, 4]
+
+
 def test_small_components_without_a_row_for_each_link(spark, monkeypatch):
     from bspflow.algos import compact
 
@@ -81,3 +101,19 @@ def test_small_components_without_a_row_for_each_link(spark, monkeypatch):
     for least in (3, 8, 30):
         want = assembly.drop_small_components(*assembly.debruijn(read, 7), least)
         assert sorted(map(tuple, compact.big_components(read, 7, least).collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_clean_chain_equals_its_steps_on_k_mer_tables(spark, monkeypatch):
+    from bspflow.algos import compact
+
+    monkeypatch.setattr(compact, "CHUNK", 400)
+    monkeypatch.setattr(compact, "PART", 800)
+    read, k = reads(spark, *_some_reads()), 7
+    nodes, edges = assembly.drop_low_coverage(*assembly.debruijn(read, k))
+    for step in (lambda u, l: assembly.remove_tips(u, l, k), assembly.pop_bubbles, assembly.remove_bridges):
+        nodes, edges = (assembly.cut(x) for x in _restrict(step(*assembly.unitigs(nodes, edges)), nodes, edges, k))
+    nodes = assembly.cut(assembly.drop_small_components(nodes, edges))
+    edges = edges.join(nodes.select(nodes.kmer.alias("src")), "src", "left_semi")
+    units, _ = assembly.unitigs(nodes, edges)
+    want = sorted(map(tuple, units.select("head", "seq", "coverage", "n").collect()))
+    assert want and sorted(map(tuple, assembly.clean_chain(read, k).collect())) == want
