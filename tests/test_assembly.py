@@ -117,3 +117,42 @@ def test_clean_chain_equals_its_steps_on_k_mer_tables(spark, monkeypatch):
     units, _ = assembly.unitigs(nodes, edges)
     want = sorted(map(tuple, units.select("head", "seq", "coverage", "n").collect()))
     assert want and sorted(map(tuple, assembly.clean_chain(read, k).collect())) == want
+
+
+def test_units_less_a_pattern_equal_the_step_on_k_mer_tables(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from bspflow.algos import compact
+
+    monkeypatch.setattr(compact, "PART", 800)
+    read, k = reads(spark, *_some_reads()), 7
+    units, links = assembly.unitigs(*assembly.debruijn(read, k))
+    held = compact.chunks(read, k)
+    steps = {
+        "tips": (compact.tips, lambda u, l: assembly.remove_tips(u, l, k)),
+        "bubbles": (compact.arms, lambda u, l: assembly.pop_bubbles(u, l, 9)),
+        "bridges": (compact.bridges(9, 12), lambda u, l: assembly.remove_bridges(u, l, 9, 12)),
+    }
+    for pattern, (doubtful, step) in steps.items():
+        want = {tuple(r) for r in step(units, links).select("head", "seq", "coverage", "n").collect()}
+        assert len(want) < units.count(), pattern
+        for size in (20, 4):  # a filter with room, and one in which every unit is in doubt
+            got = compact.cleaned(held, k, doubtful, step, size).select(F.substring("seq", 1, k), "seq", "coverage", "n").collect()
+            assert len(got) == len(want) and {tuple(r) for r in got} == want, (pattern, size)
+
+
+def test_units_that_surely_stay_are_in_no_table_of_a_cleaning_query(spark, tmp_path, monkeypatch):
+    import random
+
+    from bspflow.algos import compact
+    from bspflow.workloads import QUERIES
+
+    r = random.Random(5)
+    words = ["".join(r.choice("abcdefgh") for _ in range(14)) for _ in range(60)]
+    text = "\n".join("".join(r.choice(words) for _ in range(12)) for _ in range(80))
+    spark.createDataFrame([(1, text, "en", len(text))], "doc_id long, text string, lang string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    rows, cut = [], compact.cut
+    monkeypatch.setattr(compact, "cut", lambda df: rows.append((kept := cut(df)).where("seq IS NOT NULL" if "seq" in kept.columns else "false").count()) or kept)
+    for query in ("w_clean_tips", "w_clean_bubbles", "w_clean_bridges"):
+        rows.clear()
+        assert QUERIES[query](spark, str(tmp_path)).count() > 2 * max(rows), query
