@@ -156,3 +156,24 @@ def test_units_that_surely_stay_are_in_no_table_of_a_cleaning_query(spark, tmp_p
     for query in ("w_clean_tips", "w_clean_bubbles", "w_clean_bridges"):
         rows.clear()
         assert QUERIES[query](spark, str(tmp_path)).count() > 2 * max(rows), query
+
+
+def test_asks_with_keys_are_packed_and_told_once_if_a_key_is_twice(spark):
+    import numpy as np
+    import pyarrow as pa
+    import pyarrow.compute  # noqa: F401
+
+    from bspflow.algos import compact
+
+    assert "key" not in compact.MARKED.names  # no row for each ask
+    key = np.array([7, -3, 7, 5, -3, 7, 2**62], np.int64)
+    left, right = np.arange(7), np.arange(7) + 100
+    left[[2, 5]], right[[2, 5]], left[4], right[4] = left[0], right[0], left[1], right[1]
+    found = set()
+    rows = compact._dealt(key, left, right, 3)
+    assert rows.num_rows <= 3 and rows["seq"].null_count == rows.num_rows
+    for slot in set(rows["slot"].to_pylist()):
+        got = compact._twice(rows.filter(pa.compute.equal(rows["slot"], slot)))
+        found |= set(zip(got["left"].to_pylist(), got["right"].to_pylist()))
+    assert found == {(0, 100), (1, 101)}
+    assert compact._dealt(key[:0], left[:0], right[:0], 3).num_rows == 0
