@@ -177,3 +177,12 @@ def test_asks_with_keys_are_packed_and_told_once_if_a_key_is_twice(spark):
         found |= set(zip(got["left"].to_pylist(), got["right"].to_pylist()))
     assert found == {(0, 100), (1, 101)}
     assert compact._dealt(key[:0], left[:0], right[:0], 3).num_rows == 0
+
+
+def test_what_a_step_takes_away_is_in_no_table_of_its_own(spark, monkeypatch):
+    from bspflow.algos import compact
+
+    held, made, cut = compact.chunks(reads(spark, *_some_reads()), 7), [], compact.cut
+    monkeypatch.setattr(compact, "cut", lambda df: made.append(df.columns) or cut(df))
+    compact.cleaned(held, 7, compact.tips, lambda u, l: assembly.remove_tips(u, l, 7))
+    assert ["head"] not in made and ["head", "seq", "coverage", "n", "doubt"] in made
