@@ -66,3 +66,34 @@ def test_cliques_need_no_pairs_of_a_hubs_neighbours(spark):
     assert {tuple(map(int, r.members.split(","))) for r in found.collect()} == {(0, 1, 2, 3)} | {(0, v) for v in range(4, n)}
     # links among neighbours come of triangles: no join of a vertex's edges with each other
     assert "FlatMapGroupsInArrow" in found._jdf.queryExecution().optimizedPlan().toString()
+
+
+def _cliques(pairs):
+    near = {}
+    for a, b in pairs:
+        near.setdefault(a, set()).add(b)
+        near.setdefault(b, set()).add(a)
+    out, left = set(), [(frozenset(), frozenset(near), frozenset())]
+    while left:
+        members, open_, closed = left.pop()
+        if not open_ and not closed:
+            out.add(",".join(map(str, sorted(members))))
+        for v in sorted(open_):
+            left.append((members | {v}, open_ & near[v], closed & near[v]))
+            open_, closed = open_ - {v}, closed | {v}
+    return out
+
+
+def test_cliques_of_a_dense_group_need_no_row_for_each_triangle(spark, monkeypatch):
+    def triangles(*_):
+        raise AssertionError("a row for each triangle of a group of near vectors")
+
+    monkeypatch.setattr(structure, "triangles", triangles)
+    r = random.Random(2)
+    alike = list(combinations(range(200, 320), 2))
+    pairs = [p for p in combinations(range(30), 2) if r.random() < 0.5] + [(v, v + 200) for v in range(30)]
+    want = _cliques(pairs) | {",".join(map(str, range(200, 320)))}
+    for block in (structure.BLOCK, 200):  # one block for each partition or two, then many
+        monkeypatch.setattr(structure, "BLOCK", block)
+        got = structure.maximal_cliques(spark.createDataFrame(pairs + alike, "src long, dst long")).collect()
+        assert {x.members for x in got} == want and len(got) == len(want) and all(x.size == x.members.count(",") + 1 for x in got)
