@@ -186,3 +186,35 @@ def test_what_a_step_takes_away_is_in_no_table_of_its_own(spark, monkeypatch):
     monkeypatch.setattr(compact, "cut", lambda df: made.append(df.columns) or cut(df))
     compact.cleaned(held, 7, compact.tips, lambda u, l: assembly.remove_tips(u, l, 7))
     assert ["head"] not in made and ["head", "seq", "coverage", "n", "doubt"] in made
+
+
+def test_a_chain_of_steps_keeps_no_table_that_its_result_does_not_read(spark):
+    import os
+
+    from bspflow.runtime.session import shared_folder
+
+    folder = shared_folder(spark).removeprefix("file:")
+    there = lambda: {x for x in os.listdir(folder) if x.startswith("cut-")}
+    before = there()
+    out = assembly.clean_chain(reads(spark, "abcdefghijklmnopqrstuvwxyzabcdefghijk", "abcdefghijklmnopqrstuvwxyzabcdefghijk", "abcdefgh0jklmnop"), 7)
+    assert out.count() and there() - before == {f.split("/")[-2] for f in out.inputFiles()}
+
+
+def test_units_of_small_components_go_by_neighbours_or_by_labels(spark, monkeypatch):
+    import random
+
+    from bspflow.algos import compact
+
+    r = random.Random(4)
+    units = [(v, r.choice((1, 1, 2, 3, 9))) for v in range(200)]
+    links = sorted({(a, min(199, a + r.choice((0, 1, 1, 2)))) for a in r.sample(range(200), 110)})
+    low = {v: v for v, _ in units}
+    for _ in units:
+        for a, b in links:
+            low[a] = low[b] = min(low[a], low[b])
+    size = {c: sum(n for v, n in units if low[v] == c) for c in low.values()}
+    for few in (0, 1000):
+        monkeypatch.setattr(compact, "FEW", few)
+        for least in (3, 8, 20):
+            got = compact.without_small(spark.createDataFrame(units, "head long, n long"), spark.createDataFrame(links, "src long, dst long"), least)
+            assert {x.head for x in got.collect()} == {v for v, _ in units if size[low[v]] >= least}
