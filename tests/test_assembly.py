@@ -218,3 +218,18 @@ def test_units_of_small_components_go_by_neighbours_or_by_labels(spark, monkeypa
         for least in (3, 8, 20):
             got = compact.without_small(spark.createDataFrame(units, "head long, n long"), spark.createDataFrame(links, "src long, dst long"), least)
             assert {x.head for x in got.collect()} == {v for v, _ in units if size[low[v]] >= least}
+
+
+def test_chains_and_cycles_that_begin_in_rounds_and_end_in_one_task(spark, monkeypatch):
+    from bspflow.algos import compact
+
+    chains = [list(range(a, a + n)) for a, n in ((100, 2), (200, 3), (300, 40), (400, 9))]
+    rings = [list(range(a, a + n)) for a, n in ((500, 1), (600, 2), (700, 4), (800, 7))]
+    links = [p for c in chains for p in zip(c, c[1:])] + [p for c in rings for p in zip(c, c[1:] + c[:1])]
+    soft = spark.createDataFrame([(-b, -a) for a, b in links], "src long, dst long")
+    for few in (20, 60):
+        monkeypatch.setattr(compact, "FEW", few)
+        got = {x.vid: x.label for x in compact._chain_labels(soft).collect()}
+        assert sorted(got) == sorted(-v for c in chains + rings for v in c)
+        for c in chains + rings:
+            assert len({got[-v] for v in c}) == 1 and -got[-c[0]] in c
